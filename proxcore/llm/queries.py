@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from proxcore.llm import bpe, chat, decontaminate, sharding, url_filter
+from proxcore.llm import bpe, chat, decontaminate, near_duplicates, ngram_lm, quality, secrets, sharding, url_filter
 from proxcore.llm.common import read
 
 SHARDS, SLOTS = [f"shard-{k:02d}" for k in range(16)], 2003
@@ -58,10 +58,23 @@ FROM documents JOIN full_table t ON t.slot = ('0x' || substr(md5('key:' || coale
 """
 
 
+def op3_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_lm.score(read(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text", "lang", "source")
+    return quality.score(docs, columns=["doc_id"])
+
+
 def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(read(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "trip.n_tokens", "trip.ids_sha256", "trip.decoded_sha256")
 
 
+def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates.classes(read(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op7_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = chat.rotate(read(spark, sf_dir, "conversations"))
     return out.select("conv_id", "chunk", "speaker", "n_turns", "n_mask_chars", "rendered", F.concat_ws(",", F.transform("mask", lambda s: F.concat_ws("-", s["start"].cast("string"), s["end"].cast("string")))).alias("mask"))
@@ -81,6 +94,12 @@ FROM placed GROUP BY conv_id, chunk, speaker
 """
 
 
+def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    model = secrets.train(secrets.labelled_findings(spark))
+    out = secrets.judge(secrets.candidates(read(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id"), model)
+    return out.select("doc_id", "start", "end", F.sha2("value", 256).alias("value_sha256"), "probability", "is_secret")
+
+
 def _hash(of: Column, salt: str) -> Column:
     return F.conv(F.substring(F.md5(F.concat(F.lit(salt), of)), 1, 8), 16, 10).cast("bigint")
 
@@ -117,6 +136,6 @@ SELECT p.page_id, p.day AS fetched_day, CAST(coalesce(len(e), 0) AS BIGINT) AS n
 """
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    "op1_decontaminate": op1_decontaminate, "op2_sharding": op2_sharding, "op5_bpe": op5_bpe, "op7_perspectives": op7_perspectives, "op10_url_filter": op10_url_filter,
+    f.__name__: f for f in (op1_decontaminate, op2_sharding, op3_language_model, op4_quality, op5_bpe, op6_near_duplicates, op7_perspectives, op9_secrets, op10_url_filter)
 }
 ORACLE_SQL: dict[str, str] = {"op1_decontaminate": OP1_SQL, "op2_sharding": OP2_SQL, "op7_perspectives": OP7_SQL, "op10_url_filter": OP10_SQL}
