@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from proxcore.llm import bpe, chat, decontaminate, near_duplicates, ngram_lm, quality, secrets, sharding, url_filter
+from proxcore.llm import bpe, chat, decontaminate, near_duplicates, ngram_lm, quality, repeats, secrets, sharding, url_filter
 from proxcore.llm.common import read
 
 SHARDS, SLOTS = [f"shard-{k:02d}" for k in range(16)], 2003
@@ -94,6 +94,10 @@ FROM placed GROUP BY conv_id, chunk, speaker
 """
 
 
+def op8_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeats.remove_repeats(read(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     model = secrets.train(secrets.labelled_findings(spark))
     out = secrets.judge(secrets.candidates(read(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id"), model)
@@ -136,6 +140,6 @@ SELECT p.page_id, p.day AS fetched_day, CAST(coalesce(len(e), 0) AS BIGINT) AS n
 """
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
-    f.__name__: f for f in (op1_decontaminate, op2_sharding, op3_language_model, op4_quality, op5_bpe, op6_near_duplicates, op7_perspectives, op9_secrets, op10_url_filter)
+    f.__name__: f for f in (op1_decontaminate, op2_sharding, op3_language_model, op4_quality, op5_bpe, op6_near_duplicates, op7_perspectives, op8_repeats, op9_secrets, op10_url_filter)
 }
 ORACLE_SQL: dict[str, str] = {"op1_decontaminate": OP1_SQL, "op2_sharding": OP2_SQL, "op7_perspectives": OP7_SQL, "op10_url_filter": OP10_SQL}
