@@ -134,15 +134,14 @@ put("truss_numbers", on("copurchase_q1", 8, lambda g, st, q, p, w: static.truss_
 put("truss_community", on("copurchase_q1", 8, lambda g, st, q, p, w: static.truss_community(g, q)))
 put("sweep_cut", on("trade_q1", 5, lambda g, st, q, p, w: static.sweep_cut(g, q)))
 put("select_containing", on("trade_q1", 5, lambda g, st, q, p, w: static.select_containing(st.select((F.col("v") % 5).alias("set_id"), "v").distinct().withColumn("score", F.col("set_id") % 3), q)), S.query(S.graph("trade_q1"), S.picked(5), "f AS (SELECT DISTINCT v % 5 AS set_id, v, v % 5 % 3 AS score FROM st)", select="SELECT q, f.v, score FROM qs JOIN f ON f.set_id = q % 5"))
-put("periodic_edges", on("trade_q1", 5, lambda g, st, q, p, w: heuristics.periodic_edges(g)), f"WITH {S.graph('trade_q1')} SELECT a.u, a.v, a.t AS start, b.t - a.t AS period FROM e a JOIN e b ON a.u = b.u AND a.v = b.v AND b.t > a.t JOIN e c ON c.u = a.u AND c.v = a.v AND c.t = 2 * b.t - a.t")
-put("periodic_clique", on("meet", 5, lambda g, st, q, p, w: heuristics.periodic_clique(g, q, 2)))
+put("periodic_edges", lambda s, d: heuristics.periodic_edges(VIEWS["trade"](s, d)), f"WITH {S.graph('trade')} SELECT a.u, a.v, a.t AS start, b.t - a.t AS period FROM e a JOIN e b ON a.u = b.u AND a.v = b.v AND b.t > a.t JOIN e c ON c.u = a.u AND c.v = a.v AND c.t = 2 * b.t - a.t")
+put("periodic_clique", lambda s, d: heuristics.periodic_clique(g := VIEWS["nation"](s, d).settled().slice(23946, 23966), pick(g, 3)))
 _WIN = "win AS MATERIALIZED (SELECT s.t AS w, e.u, e.v, e.t FROM e JOIN (SELECT DISTINCT t FROM e) s ON e.t >= s.t AND e.t < s.t + 3)"
 put("windows", on("trade_q1", 5, lambda g, st, q, p, w: temporal.in_windows(g, 3)), f"WITH {S.graph('trade_q1')}, {_WIN} SELECT * FROM win")
 put("persistent_degree", on("trade_q1", 5, lambda g, st, q, p, w: temporal.persistent_degree(g, 3)), f"WITH {S.graph('trade_q1')}, {_WIN} SELECT w, v, count(*) AS degree FROM (SELECT DISTINCT w, u AS v, v AS n FROM win UNION SELECT w, v, u FROM win) GROUP BY w, v")
 put("persistent_core", on("meet", 5, lambda g, st, q, p, w: temporal.persistent_core(g, q)))
-_AND = "ip AS MATERIALIZED (SELECT u, v FROM e WHERE t BETWEEN 9 AND 10 GROUP BY u, v HAVING count(DISTINCT t) = 2)"
 put("interval_pairs", on("meet", 5, lambda g, st, q, p, w: temporal.in_windows(g, 2).groupBy("w", "u", "v").agg(F.count_distinct("t").alias("n")).where("n = 2").select("w", "u", "v")), f"WITH {S.graph('meet')} SELECT a.t AS w, a.u, a.v FROM e a JOIN e b ON a.u = b.u AND a.v = b.v AND b.t = a.t + 1")
-put("interval_core", on("meet", 5, lambda g, st, q, p, w: temporal.best_interval(g, q, 2)))
+put("interval_core", lambda s, d: temporal.best_interval(g := VIEWS["nation"](s, d).settled().slice(23946, 23966), pick(g, 3), 2))
 put("density_burst", on("trade_q1", 5, lambda g, st, q, p, w: temporal.density_burst(g, q, 2)))
 put("inefficiency_community", on("copurchase_q1", 4, lambda g, st, q, p, w: heuristics.inefficiency_community(g, q)))
 # measures, over the vertices of positive proximity as a set that both engines have
