@@ -27,7 +27,7 @@ from proxcore.llm.common import with_struct
 
 FILE = "byte_bpe_50k.tiktoken"
 #: Bytes of a rank file that may be broadcast, pieces that a worker remembers, bytes of pieces merged in a batch.
-MOST_RANK_BYTES, REMEMBERED, SHORT = 64_000_000, 400_000, 32
+MOST_RANK_BYTES, REMEMBERED, SHORT = 64_000_000, 120_000, 32
 
 ENCODED = T.StructType([T.StructField("n_tokens", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType()))])
 TRIP = T.StructType([T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())])

@@ -157,7 +157,7 @@ def _local_frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordB
             fresh.append(s)
             weights.append(np.full(len(s), n, np.int64))
             held, total = held + len(s), total + n
-            if held > 2_000_000:
+            if held > 500_000:
                 merge()
     merge()
     yield pa.RecordBatch.from_arrays([pa.array([None, *keys.view(np.int64).tolist()], pa.int64()), pa.array([total, *counts.tolist()], pa.int64())], ["key", "docs"])
