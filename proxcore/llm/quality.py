@@ -144,13 +144,14 @@ def _step(rows: DataFrame, state: DataFrame, cover: float | None, within: float,
 
 
 def _grouped(stats: DataFrame, lang: str, source: str, least_rows: int) -> DataFrame:
-    """Rows with grp: language and source, or the pool of small groups."""
+    """Rows with grp, language and source or the pool of small groups, and whether it has enough rows."""
     name = F.to_json(F.struct(F.col(lang).alias("l"), F.col(source).alias("s")))
     tongue = F.to_json(F.struct(F.col(lang).alias("l")))
     rows = stats.withColumn("__own", name)
     sizes = rows.groupBy(F.col("__own").alias("__of"), tongue.alias("__lang")).agg(F.count_if(~F.col("base_failed")).alias("n"))
     small = F.sum(F.when(F.col("n") < least_rows, F.col("n")).otherwise(0)).over(Window.partitionBy("__lang"))
-    chosen = sizes.select("__of", F.when(F.col("n") >= least_rows, F.col("__of")).when(small >= least_rows, F.concat(F.lit("language "), "__lang")).otherwise("all").alias("grp"))
+    chosen = sizes.select("__of", F.when(F.col("n") >= least_rows, F.col("__of")).when(small >= least_rows, F.concat(F.lit("language "), "__lang")).otherwise("all").alias("grp"), "n")
+    chosen = chosen.withColumn("enough", F.sum("n").over(Window.partitionBy("grp")) >= least_rows).drop("n")
     return rows.join(chosen, F.col("__own") == F.col("__of")).drop("__own", "__of")
 
 
@@ -160,9 +161,7 @@ def score(docs: DataFrame, *, text: str = "text", lang: str = "lang", source: st
     wanted = columns or docs.columns
     stats = base_statistics(docs, text).select(*wanted, *[c for c in [*BASE, "base_failed"] if c not in wanted], *{c for c in (lang, source) if c not in wanted}) if columns else base_statistics(docs, text)
     stats = keep(stats)
-    rows = keep(_grouped(stats.select(lang, source, *BASE, "base_failed"), lang, source, least_rows).where(~F.col("base_failed")).select("grp", F.array(*_vector()).alias("x")))
-    enough = rows.groupBy("grp").agg(F.count("*").alias("n")).where(F.col("n") >= least_rows).select("grp")
-    rows = rows.join(enough, "grp")
+    rows = keep(_grouped(stats.select(lang, source, *BASE, "base_failed"), lang, source, least_rows).where(F.col("enough") & ~F.col("base_failed")).select("grp", F.array(*_vector()).alias("x")))
     state, scale = keep(_start(rows)), cover / chi_square_below(chi_square_quantile(cover, P), P + 2)
     for _ in range(most_steps):
         fresh = keep(_step(rows, state, cover, 0.0, scale))
@@ -181,6 +180,6 @@ def score(docs: DataFrame, *, text: str = "text", lang: str = "lang", source: st
 
 def drop_low_quality(docs: DataFrame, **how: object) -> DataFrame:
     """The kept rows, with the columns of docs."""
-    clash = [c for c in docs.columns if c in (*BASE, "base_failed", "distance", "kept", "grp", "x", "centre", "root")]
+    clash = [c for c in docs.columns if c in (*BASE, "base_failed", "distance", "kept", "grp", "enough", "x", "centre", "root")]
     plain = docs.withColumnsRenamed({c: f"__own_{c}" for c in clash})
     return score(plain, **how).where("kept").select(*plain.columns).withColumnsRenamed({f"__own_{c}": c for c in clash})
