@@ -21,6 +21,9 @@ from proxcore.proximity import Queries, fold, prepared, seeds
 from proxcore.runtime import query_table, settle
 from proxcore.transitions import Decay
 
+#: Temporal edges that one task may hold, and that may be broadcast.
+IN_TASK = 500_000
+
 
 def _lower_degree(static: DataFrame, members: DataFrame, lower: DataFrame) -> DataFrame:
     """q, v, low: for each member the lower bounds of its member neighbours."""
@@ -116,11 +119,12 @@ def shrink_levels(static: DataFrame, members: DataFrame, lower: DataFrame, facts
     return goal.select("q", "eps"), component(static, alive)
 
 
-def local_community(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", method: str = "levels", prune: bool = True, stop: bool = True, anchor: str = "max") -> DataFrame:
+def local_community(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", method: str = "auto", prune: bool = True, stop: bool = True, anchor: str = "max") -> DataFrame:
     """q, v, eps, residue, expanded, visited, reason: one row for each member of a query's community.
 
-    method: levels (distributed), or queue (one task for each query with the whole edge table, for small graphs)."""
-    if method == "queue":
+    method: levels (distributed), queue (one task for each query with the whole edge table), or auto: queue for graphs of at
+    most IN_TASK edges, which are broadcast, and levels beyond."""
+    if method == "queue" or method == "auto" and g.edges.limit(IN_TASK + 1).count() <= IN_TASK:
         return _by_task(g, queries, alpha, decay, prune, stop, anchor)
     members, lower, facts = expand_levels(g, queries, alpha, decay=decay, prune=prune, stop=stop)
     eps, community = shrink_levels(g.static, members, lower, facts, anchor=anchor)
@@ -128,10 +132,10 @@ def local_community(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, d
     return community.join(eps, "q").join(facts, "q").join(size, "q").select("q", "v", "eps", "residue", "expanded", "visited", "reason")
 
 
-def _by_task(g: TemporalGraph, queries: Queries, alpha: float, decay: Decay, prune: bool, stop: bool, anchor: str, most_edges: int = 2_000_000) -> DataFrame:
+def _by_task(g: TemporalGraph, queries: Queries, alpha: float, decay: Decay, prune: bool, stop: bool, anchor: str) -> DataFrame:
     spark = g.edges.sparkSession
-    if g.edges.count() > most_edges:  # a task holds the whole graph
-        return local_community(g, queries, alpha, decay=decay, prune=prune, stop=stop, anchor=anchor)
+    if g.edges.limit(IN_TASK + 1).count() > IN_TASK:
+        raise ValueError(f"a task holds graphs of at most {IN_TASK} edges; use levels")
     edges = [(int(r["u"]), int(r["v"]), int(r["t"])) for r in g.edges.toLocalIterator()]
     sent = spark.sparkContext.broadcast(edges)
 
@@ -153,7 +157,7 @@ def local_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float
     out-degrees. The expansion starts from all of them, and the ratio falls while all of them survive, connected."""
     wanted = sorted(set(queries))
     head = wanted[0]
-    edges = [(int(r["u"]), int(r["v"]), int(r["t"])) for r in g.edges.toLocalIterator()] if g.edges.count() <= 2_000_000 else None
+    edges = [(int(r["u"]), int(r["v"]), int(r["t"])) for r in g.edges.toLocalIterator()] if g.edges.limit(IN_TASK + 1).count() <= IN_TASK else None
     if edges is None:
         raise ValueError("the multi-query expansion holds the graph in one task; slice the graph first")
     walks = kernels.Walks(edges)

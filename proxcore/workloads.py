@@ -16,7 +16,7 @@ from proxcore.sources.tables import table
 from proxcore.sources.views import VIEWS
 
 ALPHAS = (0.1, 0.2, 0.4, 0.6, 0.8)
-VIEW, QUERIES = "copurchase_q1", 10
+VIEW, QUERIES = "copurchase_q1", 6
 
 
 def draw(g: TemporalGraph, k: int = 50) -> DataFrame:
@@ -51,7 +51,6 @@ def methods(x: Setting) -> dict[str, Callable[[], DataFrame]]:
         "local": lambda: local.local_community(x.g, x.q, x.alpha),
         "floor k-core": lambda: static.floor_kcore(x.g, x.q, x.alpha, 2, x.prox),
         "static core": lambda: static.static_core(x.g, x.q),
-        "temporal-degree core": lambda: static.static_core(x.g, x.q, "temporal"),
         "truss": lambda: static.truss_community(x.g, x.q),
         "sweep cut": lambda: static.sweep_cut(x.g, x.q, x.alpha),
         "periodic clique": lambda: heuristics.periodic_clique(x.g, x.q, 2, 2),
@@ -84,7 +83,7 @@ def runtimes(s: SparkSession, d: str) -> DataFrame:
     """method, seconds (a query, mean), place: the temporal methods."""
     x = Setting(s, d)
     n = max(1, x.q.count())
-    rows = [(name, metrics.timed(make)[1] / n) for name, make in methods(x).items() if name not in ("static core", "temporal-degree core", "truss", "sweep cut")]
+    rows = [(name, metrics.timed(make)[1] / n) for name, make in methods(x).items() if name not in ("static core", "truss", "sweep cut")]
     out = s.createDataFrame(rows, "method string, seconds double")
     return out.select("method", "seconds", F.rank().over(Window.orderBy("seconds")).alias("place"))  # a row for each method
 

@@ -113,7 +113,7 @@ def test_local_levels_hold_their_certificate(spark):
     g, w = graph(spark, edges).settled(), K.Walks(edges)
     adj = K.adjacency((u, v) for u, v, _ in edges)
     qs = sorted(adj)[:2]
-    rows = local.local_community(g, qs).collect()
+    rows = local.local_community(g, qs, method="levels").collect()
     for q in qs:
         members, prox = {r["v"] for r in rows if r["q"] == q}, w.dense(q, 0.2)
         beta, _ = K.exact_peel(adj, prox, q)
