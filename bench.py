@@ -31,6 +31,7 @@ def main() -> None:
         began = time.perf_counter()
         out = make()
         seconds[name] = round(time.perf_counter() - began, 3)
+        print(name, seconds[name], file=sys.stderr, flush=True)
         return out
 
     g, states = timed("graph_copurchase_q1", lambda: prepared(VIEWS["copurchase_q1"](spark, SF)))

@@ -155,11 +155,31 @@ def expand(walks: Walks, q: int, alpha: float = 0.2, *, least: float | None = No
         residue[a] = 1 / len(arcs)
         by_source[q].add(a)
     lower: dict[int, float] = defaultdict(float)
-    members: set[int] = set()
-    queue, visited, beta, reason = deque([q]), {q}, 0.0, "exhausted"
+    rho: dict[int, float] = {}  # of members, from the lower bounds of their member neighbours; it never falls
+    heap: list[tuple[float, int]] = []
+    queue, waiting, visited, beta, reason = deque([q]), {q}, {q}, 0.0, "exhausted"
+    left, near = 1.0 if arcs else 0.0, 0.0  # all residue; lower bounds of the queue
+
+    def bank(b: int, mass: float) -> None:
+        nonlocal left, near
+        lower[b] += mass
+        left -= mass
+        near += mass if b in waiting else 0.0
+        if b in rho:
+            for v in adj[b]:
+                if v in rho:
+                    rho[v] += mass
+
     while queue:
         u = queue.popleft()
-        members.add(u)
+        waiting.discard(u)
+        near -= lower[u]
+        rho[u] = 0.0
+        for v in adj[u]:
+            if v in rho:
+                rho[u] += lower[v]
+                rho[v] += lower[u]
+        heapq.heappush(heap, (rho[u], u))
         for a in sorted(by_source[u], key=lambda a: a[2]):
             r = residue[a]
             if r < least:
@@ -167,26 +187,31 @@ def expand(walks: Walks, q: int, alpha: float = 0.2, *, least: float | None = No
             _, b, t = a
             residue[a] = 0.0
             if not walks.norm[b, t]:
-                lower[b] += r
+                bank(b, r)
                 continue
-            lower[b] += alpha * r
+            bank(b, alpha * r)
             for s in walks.times[b]:
                 if s > t:
                     share = (1 - alpha) * r * walks.g(s - t) / walks.norm[b, t]
                     for w in walks.out[b][s]:
                         residue[b, w, s] += share
                         by_source[b].add((b, w, s))
-        left = sum(residue.values())
-        beta = max(beta, smallest(adj, lower, members))
+        while heap[0][0] < rho[heap[0][1]]:  # an entry that has grown since
+            v = heap[0][1]
+            heapq.heapreplace(heap, (rho[v], v))
+        beta = max(beta, heap[0][0])
         for v in sorted(adj[u] - visited):
             visited.add(v)
-            if not prune or left + sum(lower[w] for w in adj[v]) >= beta:
+            if not prune or left + sum(lower[w] for w in adj[v]) >= beta - 1e-12:
                 queue.append(v)
-        if stop and left + sum(lower[w] for w in queue) < beta:
-            members |= set(queue)
+                waiting.add(v)
+                near += lower[v]
+        if stop and left + near < beta - 1e-12:
+            for v in queue:
+                rho[v] = 0.0
             reason = "bound"
             break
-    return {"members": members, "residue": sum(residue.values()), "lower": dict(lower), "beta": beta, "visited": visited, "reason": reason}
+    return {"members": set(rho), "residue": max(0.0, left), "lower": dict(lower), "beta": beta, "visited": visited, "reason": reason}
 
 
 def shrink(adj: Adjacency, members: set[int], lower: dict[int, float], residue: float, q: int, *, most: float = 1e12, anchor: str = "max") -> tuple[float, set[int]]:

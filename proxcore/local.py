@@ -8,9 +8,11 @@ All bounds hold at any moment, so the order of pushes doesn't matter. A dangling
 from __future__ import annotations
 
 import math
+import uuid
 from collections.abc import Iterable
 
 import pandas as pd
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -132,15 +134,28 @@ def local_community(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, d
     return community.join(eps, "q").join(facts, "q").join(size, "q").select("q", "v", "eps", "residue", "expanded", "visited", "reason")
 
 
+_held: dict[object, kernels.Walks] = {}
+
+
+def _walks(sent: Broadcast, decay: Decay) -> kernels.Walks:
+    """One for each worker and graph."""
+    name, edges = sent.value
+    key = (name, str(decay))
+    if key not in _held:
+        _held.clear()
+        _held[key] = kernels.Walks(edges, decay)
+    return _held[key]
+
+
 def _by_task(g: TemporalGraph, queries: Queries, alpha: float, decay: Decay, prune: bool, stop: bool, anchor: str) -> DataFrame:
     spark = g.edges.sparkSession
     if g.edges.limit(IN_TASK + 1).count() > IN_TASK:
         raise ValueError(f"a task holds graphs of at most {IN_TASK} edges; use levels")
     edges = [(int(r["u"]), int(r["v"]), int(r["t"])) for r in g.edges.toLocalIterator()]
-    sent = spark.sparkContext.broadcast(edges)
+    sent = spark.sparkContext.broadcast((uuid.uuid4().hex, edges))
 
     def run(key: tuple, _: pd.DataFrame) -> pd.DataFrame:
-        q, walks = int(key[0]), kernels.Walks(sent.value, decay)
+        q, walks = int(key[0]), _walks(sent, decay)
         columns = ["q", "v", "eps", "residue", "expanded", "visited", "reason"]
         if q not in walks.times:
             return pd.DataFrame([], columns=columns)
@@ -149,7 +164,9 @@ def _by_task(g: TemporalGraph, queries: Queries, alpha: float, decay: Decay, pru
         eps, members = kernels.shrink(adj, x["members"], x["lower"], x["residue"], q, anchor=anchor)
         return pd.DataFrame([(q, v, eps, x["residue"], len(x["members"]), len(x["visited"]), x["reason"]) for v in sorted(members)], columns=columns)
 
-    return query_table(spark, queries).groupBy("q").applyInPandas(run, "q bigint, v bigint, eps double, residue double, expanded bigint, visited bigint, reason string")
+    # as many parts as tasks can run, for a query is long work on few bytes
+    spread = query_table(spark, queries).repartition(spark.sparkContext.defaultParallelism, "q")
+    return spread.groupBy("q").applyInPandas(run, "q bigint, v bigint, eps double, residue double, expanded bigint, visited bigint, reason string")
 
 
 def local_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float = 0.2, *, start: str = "mean") -> DataFrame:
