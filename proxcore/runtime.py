@@ -10,15 +10,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _paths: list[str] = []
+_own: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
     """spark.checkpoint.dir of the session; a folder of this machine only where that is unset."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        found = tempfile.mkdtemp(prefix="proxcore_")
-        spark.conf.set("spark.checkpoint.dir", found)
-    return found
+    if found := spark.conf.get("spark.checkpoint.dir", None):
+        return found
+    app = spark.sparkContext.applicationId
+    if app not in _own:
+        _own[app] = tempfile.mkdtemp(prefix="proxcore_")
+    return _own[app]
 
 
 def settle(df: DataFrame) -> DataFrame:
