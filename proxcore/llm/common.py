@@ -16,13 +16,17 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_own: dict[str, str] = {}
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that the cluster shares, from spark.checkpoint.dir; a folder of this machine where that is unset."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
-    if not found:
-        found = tempfile.mkdtemp(prefix="corpus_")
-        spark.conf.set("spark.checkpoint.dir", found)
-    return found
+    if found := spark.conf.get("spark.checkpoint.dir", None):
+        return found
+    app = spark.sparkContext.applicationId
+    if app not in _own:
+        _own[app] = tempfile.mkdtemp(prefix="corpus_")
+    return _own[app]
 
 
 def keep(df: DataFrame) -> DataFrame:
