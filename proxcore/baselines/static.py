@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from proxcore import compact
 from proxcore.cores import component, core_numbers
 from proxcore.graph import TemporalGraph
 from proxcore.proximity import Queries, prepared, prox_hops, push_static
@@ -18,8 +19,11 @@ def _at_own_level(static: DataFrame, levels: DataFrame, queries: DataFrame) -> D
     return component(static, inside).join(own, "q").select("q", "v", F.col("level").alias("k"))
 
 
-def static_core(g: TemporalGraph, queries: Queries, weight: str = "static") -> DataFrame:
-    """q, v, k: the component of the core of the largest k that holds the query. weight="temporal" counts temporal edges."""
+def static_core(g: TemporalGraph, queries: Queries, weight: str = "static", *, method: str = "auto") -> DataFrame:
+    """q, v, k: the component of the core of the largest k that holds the query. weight="temporal" counts temporal edges.
+    method: refine (distributed), task (`compact`), or auto: task for graphs that fit."""
+    if method == "task" or method == "auto" and compact.ship(g) is not None:
+        return compact.core(g, queries, temporal=weight == "temporal")
     static = g.static if weight == "static" else g.arcs.groupBy(F.col("src").alias("v"), F.col("dst").alias("nbr")).agg(F.count("*").alias("w"))
     static = settle(static)
     ones = static.select(F.lit(0).cast("bigint").alias("q"), "v", F.lit(1).cast("bigint").alias("units")).distinct()
@@ -112,9 +116,12 @@ def floor_levels(static: DataFrame, prox: DataFrame, k: int) -> DataFrame:
         now = fresh
 
 
-def floor_kcore(g: TemporalGraph, queries: Queries, alpha: float = 0.2, k: int = 3, prox: DataFrame | None = None) -> DataFrame:
+def floor_kcore(g: TemporalGraph, queries: Queries, alpha: float = 0.2, k: int = 3, prox: DataFrame | None = None, *, method: str = "auto") -> DataFrame:
     """q, v, floor: the connected k-core with the query whose smallest proximity is largest. A query that no k-core of positive
-    proximities holds gets its component of the plain k-core at floor 0, if it is in one."""
+    proximities holds gets its component of the plain k-core at floor 0, if it is in one. method: levels (distributed, and where prox is given),
+    task (`compact`), or auto: task for graphs that fit."""
+    if method == "task" or method == "auto" and prox is None and compact.ship(g) is not None:
+        return compact.floor_kcore(g, queries, alpha, k)
     if prox is None:
         g, states = prepared(g)
         prox = settle(prox_hops(g, queries, alpha, states=states))

@@ -123,7 +123,7 @@ _ONES = "ones AS MATERIALIZED (SELECT DISTINCT CAST(0 AS BIGINT) AS q, v, CAST(1
 _LEVELS = "lv AS MATERIALIZED (SELECT qs.q, c.core AS k FROM qs JOIN core c ON c.v = qs.q)"
 _CORE_IN = "SELECT lv.q, core.v FROM lv JOIN core ON core.core >= lv.k"
 put("static_core", on("trade_q1", 5, lambda g, st, q, p, w: static.static_core(g, q)), S.query(S.graph("trade_q1"), S.picked(5), _ONES, S.peel("ones"), _LEVELS, S.component(_CORE_IN), select="SELECT comp.q, comp.v, lv.k FROM comp JOIN lv ON lv.q = comp.q"))
-put("temporal_degree_core", on("trade_q1", 5, lambda g, st, q, p, w: static.static_core(g, q, "temporal")), S.query(S.graph("trade_q1"), S.picked(5), _ONES, S.peel("ones", "SELECT src AS v, dst AS nbr, count(*) AS x FROM arcs GROUP BY src, dst"), _LEVELS, S.component(_CORE_IN), select="SELECT comp.q, comp.v, lv.k FROM comp JOIN lv ON lv.q = comp.q"))
+put("temporal_degree_core", on("trade_q1", 5, lambda g, st, q, p, w: static.static_core(g, q, "temporal", method="refine")), S.query(S.graph("trade_q1"), S.picked(5), _ONES, S.peel("ones", "SELECT src AS v, dst AS nbr, count(*) AS x FROM arcs GROUP BY src, dst"), _LEVELS, S.component(_CORE_IN), select="SELECT comp.q, comp.v, lv.k FROM comp JOIN lv ON lv.q = comp.q"))
 _TRI = "tri AS MATERIALIZED (SELECT x.v AS a, x.nbr AS b, y.nbr AS c FROM st x JOIN st y ON y.v = x.nbr JOIN st z ON z.v = x.v AND z.nbr = y.nbr WHERE x.v < x.nbr AND y.v < y.nbr)"
 put("triangles", on("copurchase_q1", 8, lambda g, st, q, p, w: static.triangles(st)), S.query(S.graph("copurchase_q1"), _TRI, select="SELECT a, b, c FROM tri"))
 _TRUSS = """side AS MATERIALIZED (SELECT a AS u, b AS v, a AS u1, c AS v1, b AS u2, c AS v2 FROM tri UNION ALL SELECT a, c, a, b, b, c FROM tri UNION ALL SELECT b, c, a, b, a, c FROM tri),

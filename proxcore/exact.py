@@ -8,7 +8,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from proxcore import kernels
+from proxcore import compact, kernels
 from proxcore.cores import UNIT, biased_degree, component, core_numbers, in_units, threshold_core
 from proxcore.graph import TemporalGraph
 from proxcore.proximity import Queries, prepared, prox_hops, prox_multi
@@ -73,8 +73,14 @@ def peel(static: DataFrame, weights: DataFrame, queries: DataFrame, most_edges:
     return found.where("beta > 0").unionByName(whole)
 
 
-def exact_community(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", unit: int = UNIT, method: str = "refine") -> DataFrame:
-    """q, v, beta. A query without edges has no community."""
+def exact_community(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", unit: int = UNIT, method: str = "auto") -> DataFrame:
+    """q, v, beta. A query without edges has no community.
+
+    method: those of from_weights, task (blocks of queries with the whole graph, `compact`), or auto: task for graphs that
+    fit, refine beyond."""
+    if method == "task" or method == "auto" and compact.ship(g) is not None:
+        return compact.exact(g, queries, alpha, decay=decay, unit=unit)
+    method = "refine" if method == "auto" else method
     g, states = prepared(g, decay)
     q = settle(query_table(g.edges.sparkSession, queries))
     weights = settle(in_units(prox_hops(g, q, alpha, decay=decay, states=states), unit))

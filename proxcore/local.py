@@ -16,7 +16,7 @@ from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from proxcore import kernels
+from proxcore import compact, kernels
 from proxcore.cores import component
 from proxcore.graph import TemporalGraph
 from proxcore.proximity import Queries, fold, prepared, seeds
@@ -124,9 +124,11 @@ def shrink_levels(static: DataFrame, members: DataFrame, lower: DataFrame, facts
 def local_community(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", method: str = "auto", prune: bool = True, stop: bool = True, anchor: str = "max") -> DataFrame:
     """q, v, eps, residue, expanded, visited, reason: one row for each member of a query's community.
 
-    method: levels (distributed), queue (one task for each query with the whole edge table), or auto: queue for graphs of at
-    most IN_TASK edges, which are broadcast, and levels beyond."""
-    if method == "queue" or method == "auto" and g.edges.limit(IN_TASK + 1).count() <= IN_TASK:
+    method: levels (distributed), task (the same by blocks of queries with the whole graph, `compact`), queue (one vertex at
+    a time, the sequential reference, at most IN_TASK edges), or auto: task for graphs that fit, levels beyond."""
+    if method == "task" or method == "auto" and compact.ship(g) is not None:
+        return compact.local(g, queries, alpha, decay=decay, prune=prune, stop=stop, anchor=anchor)
+    if method == "queue":
         return _by_task(g, queries, alpha, decay, prune, stop, anchor)
     members, lower, facts = expand_levels(g, queries, alpha, decay=decay, prune=prune, stop=stop)
     eps, community = shrink_levels(g.static, members, lower, facts, anchor=anchor)
@@ -171,35 +173,33 @@ def _by_task(g: TemporalGraph, queries: Queries, alpha: float, decay: Decay, pru
 
 def local_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float = 0.2, *, start: str = "mean") -> DataFrame:
     """v, eps for a set of query vertices. start="mean" weighs queries alike, as the exact method's mean does; "union" by their
-    out-degrees. The expansion starts from all of them, and the ratio falls while all of them survive, connected."""
+    out-degrees. Each query is expanded without bounds, for a bound of one query doesn't hold for the mix; bounds and members
+    are mixed, and the ratio falls once for each query, as long as it survives. Of the communities with all of them the least
+    ratio counts; without one, the whole expanded set counts, if it is connected. No rows otherwise."""
     wanted = sorted(set(queries))
-    head = wanted[0]
-    edges = [(int(r["u"]), int(r["v"]), int(r["t"])) for r in g.edges.toLocalIterator()] if g.edges.limit(IN_TASK + 1).count() <= IN_TASK else None
-    if edges is None:
-        raise ValueError("the multi-query expansion holds the graph in one task; slice the graph first")
-    walks = kernels.Walks(edges)
-    parts = [kernels.expand(walks, q, alpha, prune=False, stop=False) for q in wanted if q in walks.times]
-    if len(parts) < len(wanted):
-        return g.edges.sparkSession.createDataFrame([], "v bigint, eps double")
-    sizes = [sum(len(x) for x in walks.out[q].values()) for q in wanted]
-    share = [1 / len(wanted)] * len(wanted) if start == "mean" else [s / sum(sizes) for s in sizes]
-    lower: dict[int, float] = {}
-    for w, p in zip(share, parts, strict=True):
-        for v, x in p["lower"].items():
-            lower[v] = lower.get(v, 0.0) + w * x
-    residue = sum(w * p["residue"] for w, p in zip(share, parts, strict=True))
-    adj = kernels.adjacency((u, v) for u, v, _ in walks.edges)
-    members = set().union(*(p["members"] for p in parts))
-    best: tuple[float, set[int]] | None = None
-    for q in wanted:  # the weakest query decides
-        eps, found = kernels.shrink(adj, members, lower, residue, q)
-        if set(wanted) <= found and (best is None or eps < best[0]):
-            best = (eps, found)
-    if best is None:
-        whole = kernels.connected(adj, members, head)
-        best = (math.inf, whole) if set(wanted) <= whole else None
-    rows = [] if best is None else [(v, float(best[0])) for v in sorted(best[1])]
-    return g.edges.sparkSession.createDataFrame(rows, "v bigint, eps double")
+    spark = g.edges.sparkSession
+    g = g.settled()
+    static, q = settle(g.static), query_table(spark, wanted)
+    out = settle(g.arcs.join(q, F.col("src") == F.col("q")).groupBy("q").agg(F.count("*").alias("arcs")))
+    sizes = {r["q"]: r["arcs"] for r in out.collect()}  # one for each query vertex
+    if len(sizes) < len(wanted):
+        return spark.createDataFrame([], "v bigint, eps double")
+    whole = sum(sizes.values())
+    share = spark.createDataFrame([(k, 1 / len(wanted) if start == "mean" else sizes[k] / whole) for k in wanted], "q bigint, share double")
+    members, lower, facts = expand_levels(g, q, alpha, prune=False, stop=False)
+    mixed = lower.join(share, "q").groupBy("v").agg(F.sum(F.col("low") * F.col("share")).alias("low"))
+    left = facts.join(share, "q").agg(F.sum(F.col("residue") * F.col("share")).alias("residue"))
+    # the same members and bounds under the name of each query vertex
+    everyone = settle(members.select("v").distinct().crossJoin(F.broadcast(q)).select("q", "v"))
+    eps, found = shrink_levels(static, everyone, settle(mixed.crossJoin(F.broadcast(q)).select("q", "v", "low")), settle(q.crossJoin(left)))
+    found = settle(found)
+    inside = found.join(q.withColumnRenamed("q", "v"), "v").groupBy("q").agg(F.count("*").alias("n")).where(F.col("n") == len(wanted))
+    best = inside.join(eps, "q").orderBy("eps", "q").first()
+    if best is not None:
+        return found.where(F.col("q") == best["q"]).select("v", F.lit(float(best["eps"])).alias("eps"))
+    joined = settle(component(static, everyone.where(F.col("q") == wanted[0])))
+    complete = joined.where(F.col("v").isin(wanted)).count() == len(wanted)
+    return (joined if complete else joined.limit(0)).select("v", F.lit(math.inf).alias("eps"))
 
 
 def is_eps_community(achieved: DataFrame, best: DataFrame, eps: DataFrame) -> DataFrame:

@@ -47,9 +47,9 @@ class Setting:
 def methods(x: Setting) -> dict[str, Callable[[], DataFrame]]:
     """Communities (q, v) of the model, its variants and the baselines."""
     return {
-        "exact": lambda: exact.from_weights(x.static, cores.in_units(prox_hops(x.g, x.q, x.alpha, states=x.states)), x.q),
+        "exact": lambda: exact.exact_community(x.g, x.q, x.alpha),
         "local": lambda: local.local_community(x.g, x.q, x.alpha),
-        "floor k-core": lambda: static.floor_kcore(x.g, x.q, x.alpha, 2, x.prox),
+        "floor k-core": lambda: static.floor_kcore(x.g, x.q, x.alpha, 2),
         "static core": lambda: static.static_core(x.g, x.q),
         "truss": lambda: static.truss_community(x.g, x.q),
         "sweep cut": lambda: static.sweep_cut(x.g, x.q, x.alpha),
