@@ -1,13 +1,16 @@
 """Exact removal of repeated byte strings: every byte that a WINDOW-byte string covers which also starts elsewhere.
 
 Each window has an anchor, the leftmost least hash among its runs of GRAM bytes, so equal windows have equal anchors at
-equal places. Consecutive windows of one anchor form a segment. Segments travel as hashes, packed by block of texts and
-shard of the anchor; where a shard finds one twice, all its windows are repeated. Distinct segments that share an anchor
-may still share windows: their bytes are fetched, cut to what a neighbour in the order of left or right contexts has in
-common with them, and a suffix array over all segments of the anchor finds the windows that follow one another as equals.
+equal places. Consecutive windows of one anchor form a segment. The distinct segments of a block of texts travel as hashes to
+the shard of their anchor; where a segment is there twice, all its windows are repeated. Distinct segments that share an
+anchor may still share windows: their bytes are fetched, cut to what a neighbour in the order of left or right contexts
+has in common with them, and a suffix array over all segments of the anchor finds the windows that follow one another as
+equals. An anchor of more than HOT distinct segments is split: its windows go in steps of STEP places before the anchor,
+and by what all windows of a step have in common, WINDOW - STEP + 1 bytes, so that equal windows still meet.
 
 Texts are judged one by one: no match crosses documents. Results go back by the digest of a text, for equal texts have
-equal results. No task gathers more than a share of the anchors or of one block's results.
+equal results. No task gathers more than one block's results, or a share of the anchors with one entry for each block that
+has a segment; what a split anchor leaves together has the same 193 bytes.
 
 Defined results: a null text is empty; a text shorter than a window loses nothing; a repeated row is a copy, so that a
 text of a window's length or more that occurs twice is removed whole; strings are judged on the input; overlaps count.
@@ -34,6 +37,8 @@ from proxcore.llm.suffix_array import suffix_array
 
 #: Bytes of a window and of an anchor; bytes of text in a block; windows that are anchored at a time.
 WINDOW, GRAM, BLOCK_BYTES, STRETCH = 200, 64, 32_000_000, 1 << 22
+#: Distinct segments of an anchor beyond which it is split, and the places of windows before the anchor in a step.
+HOT, STEP = 512, 8
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB)]
 _BYTE = np.array([xxhash.xxh64_intdigest(bytes([b])) for b in range(256)], np.uint64)
 
@@ -73,18 +78,21 @@ def segments(raw: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 def _send(n_shards: int, block_bytes: int):  # noqa: ANN202
     def pack(block: int, marks: list[str], raws: list[bytes]) -> Iterator[tuple]:
-        yield block, -1, "\n".join(marks).encode(), None
         found = [segments(raw) for raw in raws]
         anchor, first, last = (np.concatenate([f[k] for f in found]) for k in range(3))
         doc = np.repeat(np.arange(len(raws)), [len(f[0]) for f in found])
         digest = np.fromiter((xxhash.xxh3_64_intdigest(raw[a : b + WINDOW]) for raw, (_, x, y) in zip(raws, found, strict=True) for a, b in zip(x.tolist(), y.tolist(), strict=True)), np.uint64, len(anchor))
         shard = (anchor >> np.uint64(20)) % np.uint64(n_shards)
-        order = np.lexsort((anchor, shard))
-        cuts = np.searchsorted(shard[order], np.arange(n_shards + 1, dtype=np.uint64))
+        order = np.lexsort((digest, anchor, shard))  # of equals in order of text and place
+        a, d = anchor[order], digest[order]
+        head = np.flatnonzero(np.r_[True, (a[1:] != a[:-1]) | (d[1:] != d[:-1])])
+        times = np.diff(np.append(head, len(order)))
+        yield block, -1, "\n".join(marks).encode(), dump(tight(times), tight(doc[order]), tight(first[order]), tight((last - first)[order]))
+        cuts = np.searchsorted(shard[order][head], np.arange(n_shards + 1, dtype=np.uint64))
         for s in range(n_shards):
-            own = order[cuts[s] : cuts[s + 1]]
-            if len(own):
-                yield block, s, None, dump(np.diff(anchor[own], prepend=np.uint64(0)), digest[own], tight(doc[own]), tight(first[own]), tight(last[own] - first[own]))
+            own = slice(cuts[s], cuts[s + 1])
+            if cuts[s] < cuts[s + 1]:
+                yield block, s, None, dump(np.diff(a[head[own]], prepend=np.uint64(0)), d[head[own]], tight(np.minimum(times[own], 2)), tight(np.arange(cuts[s], cuts[s + 1])))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         number, size, marks, raws = TaskContext.get().partitionId() << 32, 0, [], []
@@ -118,26 +126,28 @@ def _by_block(block: np.ndarray, *arrays: np.ndarray) -> Iterator[tuple[int, byt
         yield b, dump(*[x[own] for x in arrays])
 
 
-def _match(pdf: pd.DataFrame) -> pd.DataFrame:
-    """What a shard knows: windows of segments that it has twice, and segments whose bytes are wanted."""
+def _match(pdf: pd.DataFrame, hot: int) -> pd.DataFrame:
+    """What a shard knows: entries of segments that are there twice, and entries whose bytes are wanted."""
     parts = [load(x) for x in pdf["sent"]]
     block = np.repeat(pdf["block"].to_numpy(np.int64), [len(x[0]) for x in parts])
     anchor = np.concatenate([np.cumsum(x[0], dtype=np.uint64) for x in parts])
-    digest, doc, first, run = (np.concatenate([x[k].astype(np.uint64 if k == 1 else np.int64) for x in parts]) for k in range(1, 5))
-    order = np.lexsort((first, doc, block, digest, anchor))
-    block, anchor, digest, doc, first, run = (x[order] for x in (block, anchor, digest, doc, first, run))
+    digest, count, entry = (np.concatenate([x[k].astype(np.uint64 if k == 1 else np.int64) for x in parts]) for k in range(1, 4))
+    order = np.lexsort((block, digest, anchor))
+    block, anchor, digest, count, entry = (x[order] for x in (block, anchor, digest, count, entry))
     new_anchor = np.concatenate([[True], anchor[1:] != anchor[:-1]])
     new = new_anchor | np.concatenate([[True], digest[1:] != digest[:-1]])
     at = np.flatnonzero(new)  # distinct segments
-    times = np.diff(np.append(at, len(new)))
-    twice = np.repeat(times > 1, times)
+    times = np.add.reduceat(count, at)
+    twice = np.repeat(times > 1, np.diff(np.append(at, len(new))))
     # anchors with several distinct segments, one of which is there once
     number = np.cumsum(new_anchor[at]) - 1
-    several = (np.bincount(number) > 1) & (np.bincount(number, times == 1) > 0)
-    wanted = at[several[number]]
-    rows = [(b, x, None) for b, x in _by_block(block[twice], doc[twice], first[twice], run[twice])] if twice.any() else []
-    if len(wanted):
-        rows += [(b, None, x) for b, x in _by_block(block[wanted], anchor[wanted], doc[wanted], first[wanted], run[wanted], np.minimum(times[np.searchsorted(at, wanted)], 2))]
+    distinct = np.bincount(number)
+    several = (distinct > 1) & (np.bincount(number, times == 1) > 0)
+    chosen = np.flatnonzero(several[number])
+    rows = [(b, x, None) for b, x in _by_block(block[twice], entry[twice])] if twice.any() else []
+    if len(chosen):
+        wanted = at[chosen]
+        rows += [(b, None, x) for b, x in _by_block(block[wanted], anchor[wanted], entry[wanted], np.minimum(times[chosen], 2), distinct[number[chosen]] > hot)]
     return pd.DataFrame(rows, columns=["block", "spans", "wanted"])
 
 
@@ -146,21 +156,27 @@ def _return(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
     if not len(right):
         return pd.DataFrame([], columns=["mark", "spans", "wanted"])
     marks = left["marks"].iloc[0].decode().split("\n")
-    spans: dict[int, tuple[np.ndarray, ...]] = {}
+    times, doc, first, run = (x.astype(np.int64) for x in load(left["sent"].iloc[0]))
+    head = np.cumsum(times) - times
+    verdicts: dict[str, tuple[np.ndarray, ...]] = {}
     for name in ("spans", "wanted"):
         parts = [load(x) for x in right[name] if x is not None]
         if parts:
-            spans[name] = tuple(np.concatenate([p[k] for p in parts]) for k in range(len(parts[0])))
+            verdicts[name] = tuple(np.concatenate([p[k] for p in parts]) for k in range(len(parts[0])))
     rows: dict[int, list] = {}
-    if "spans" in spans:
-        doc, first, run = spans["spans"]
-        for d, own in _groups(doc):
-            rows.setdefault(d, [None, None])[0] = dump(*(tight(x) for x in _union(first[own], first[own] + run[own] + WINDOW)))
-    if "wanted" in spans:
-        anchor, doc, first, run, times = spans["wanted"]
-        for d, own in _groups(doc):
-            own = own[np.argsort(first[own], kind="stable")]
-            rows.setdefault(d, [None, None])[1] = dump(anchor[own], tight(first[own]), tight(run[own]), tight(times[own]))
+    if "spans" in verdicts:
+        repeated = np.zeros(len(times), bool)
+        repeated[verdicts["spans"][0]] = True
+        every = np.repeat(repeated, times)
+        d, f, r = doc[every], first[every], run[every]
+        for k, own in _groups(d):
+            rows.setdefault(k, [None, None])[0] = dump(*(tight(x) for x in _union(f[own], f[own] + r[own] + WINDOW)))
+    if "wanted" in verdicts:
+        anchor, entry, n, hot = verdicts["wanted"]
+        at = head[entry]  # the first of the block's equal segments stands for them
+        for k, own in _groups(doc[at]):
+            own = own[np.argsort(first[at[own]], kind="stable")]
+            rows.setdefault(k, [None, None])[1] = dump(anchor[own], tight(first[at[own]]), tight(run[at[own]]), tight(n[own]), tight(hot[own].astype(np.int64)))
     return pd.DataFrame([(marks[d], *x) for d, x in rows.items()], columns=["mark", "spans", "wanted"])
 
 
@@ -179,20 +195,29 @@ def _union(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return start[at], end[np.append(at[1:], len(new)) - 1]
 
 
+def _steps(anchor: int, piece: bytes, left: int, first: int) -> Iterator[tuple[int, int, int, bytes]]:
+    """A segment of a split anchor: key, first, left and piece of the windows of each step."""
+    low, windows = 0, len(piece) - WINDOW + 1
+    while low < windows:
+        step = (left - low) // STEP
+        high = min(windows - 1, left - step * STEP)  # the last window whose place is in the step
+        shared = piece[left - step * STEP : left - (step + 1) * STEP + 1 + WINDOW]  # whole even where the segment has a part of the step
+        yield xxhash.xxh3_64_intdigest(shared, seed=anchor ^ step), first + low, left - low, piece[low : high + WINDOW]
+        low = high + 1
+
+
 def _cut_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """The bytes of wanted segments: anchor, mark, first, left (bytes before the anchor), piece, times."""
     for batch in batches:
         for k in range(batch.num_rows):
             mark, raw = batch.column("mark")[k].as_py(), batch.column("text")[k].as_py().encode("utf-8", "surrogatepass")
-            anchor, first, run, times = load(batch.column("wanted")[k].as_py())
-            first, run = first.astype(np.int64), run.astype(np.int64)
-            lefts, pieces = [], []
-            for a, f, r in zip(anchor.tolist(), first.tolist(), run.tolist(), strict=True):
+            rows = []
+            for a, f, r, n, hot in zip(*(x.tolist() for x in load(batch.column("wanted")[k].as_py())), strict=True):
                 piece = raw[f : f + r + WINDOW]
-                hashes = _gram_hashes(np.frombuffer(piece, np.uint8))
-                lefts.append(int(np.flatnonzero(hashes == np.uint64(a))[0]))
-                pieces.append(piece)
-            yield pa.RecordBatch.from_arrays([pa.array(anchor.view(np.int64)), pa.array([mark] * len(pieces)), pa.array(first), pa.array(lefts, pa.int64()), pa.array(pieces, pa.binary()), pa.array(times.astype(np.int64))], ["anchor", "mark", "first", "left_bytes", "piece", "times"])
+                left = int(np.flatnonzero(_gram_hashes(np.frombuffer(piece, np.uint8)) == np.uint64(a))[0])
+                rows += [(*part, n) for part in (_steps(a, piece, left, f) if hot else [(a, f, left, piece)])]
+            anchor, first, left, piece, times = zip(*rows, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(np.array(anchor, np.uint64).view(np.int64)), pa.array([mark] * len(rows)), pa.array(first, pa.int64()), pa.array(left, pa.int64()), pa.array(piece, pa.binary()), pa.array(times, pa.int64())], ["anchor", "mark", "first", "left_bytes", "piece", "times"])
 
 
 def _common(a: bytes, b: bytes) -> int:
@@ -214,7 +239,7 @@ def _most_shared(contexts: list[bytes]) -> list[int]:
 
 
 def repeated_windows(pieces: list[bytes], lefts: list[int]) -> list[list[int]]:
-    """Of distinct segments of one anchor: the starts of their windows that another one has too."""
+    """Of segments of one anchor: the starts of their windows that another one has too."""
     before = _most_shared([p[:k][::-1] for p, k in zip(pieces, lefts, strict=True)])
     after = _most_shared([p[k + GRAM :] for p, k in zip(pieces, lefts, strict=True)])
     text: list[int] = []
@@ -302,7 +327,7 @@ def _apply(batches: Iterator[pa.RecordBatch], at: int, names: list[str], with_by
         yield pa.RecordBatch.from_arrays(columns, labels)
 
 
-def remove_repeats(docs: DataFrame, *, text: str = "text", columns: list[str] | None = None, with_bytes: bool = False, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+def remove_repeats(docs: DataFrame, *, text: str = "text", columns: list[str] | None = None, with_bytes: bool = False, block_bytes: int = BLOCK_BYTES, hot: int = HOT) -> DataFrame:
     """The given columns (all but the text by default) with n_bytes, n_removed, n_spans, kept_sha256; with_bytes adds spans and kept."""
     spark = docs.sparkSession
     n = partitions(spark)
@@ -310,8 +335,8 @@ def remove_repeats(docs: DataFrame, *, text: str = "text", columns: list[str] |
     rows = docs.select(*names, F.col(text).alias("__text")).withColumn("__mark", F.md5("__text"))
     texts = rows.where("__text is not null").select(F.col("__mark").alias("mark"), F.col("__text").alias("text"))
     sent = keep(texts.mapInArrow(_send(n, block_bytes), "block bigint, shard int, marks binary, sent binary"))
-    matched = sent.where("shard >= 0").select("block", "shard", "sent").groupBy("shard").applyInPandas(_match, "block bigint, spans binary, wanted binary")
-    returned = sent.where("shard = -1").select("block", "marks").groupBy("block").cogroup(matched.groupBy("block")).applyInPandas(_return, "mark string, spans binary, wanted binary")
+    matched = sent.where("shard >= 0").select("block", "shard", "sent").groupBy("shard").applyInPandas(lambda pdf: _match(pdf, hot), "block bigint, spans binary, wanted binary")
+    returned = sent.where("shard = -1").select("block", "marks", "sent").groupBy("block").cogroup(matched.groupBy("block")).applyInPandas(_return, "mark string, spans binary, wanted binary")
     known = keep(returned.groupBy("mark").agg(F.max("spans").alias("spans"), F.max("wanted").alias("wanted")))
     wanted = known.where("wanted is not null").select(F.col("mark").alias("of"), "wanted")
     one_each = texts.join(wanted.select("of"), F.col("mark") == F.col("of"), "left_semi").groupBy("mark").agg(F.first("text").alias("text"))

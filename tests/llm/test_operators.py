@@ -382,20 +382,39 @@ def removed(rows):
     return sorted(out, key=str)
 
 
-@pytest.mark.parametrize("block_bytes", [4000, 32_000_000])
-def test_repeats_are_brute_force(spark, block_bytes):
+@pytest.mark.parametrize("block_bytes,hot", [(4000, 512), (32_000_000, 512), (4000, 2)])
+def test_repeats_are_brute_force(spark, block_bytes, hot):
     r = random.Random(3)
     some = lambda n: "".join(r.choice("abcdefghij ") for _ in range(n))
     passages = [some(n) for n in (150, 199, 200, 201, 230, 320, 700)]
     rows = [(i, "".join(some(r.randrange(300)) if r.random() < 0.5 else r.choice(passages)[r.randrange(20) :] for _ in range(r.randrange(5)))) for i in range(50)]
     rows += [(100, "a" * 200), (101, "a" * 201), (102, None), (103, ""), (104, "ab" * 150), (105, "é" * 120), (106, rows[3][1]), (107, rows[3][1]), (107, rows[4][1]), (None, rows[5][1])]
     df = spark.createDataFrame(rows, "doc_id bigint, text string").withColumn("kept", F.lit(1))
-    got = repeats.remove_repeats(df, columns=["doc_id"], block_bytes=block_bytes).collect()
+    got = repeats.remove_repeats(df, columns=["doc_id"], block_bytes=block_bytes, hot=hot).collect()
     assert sorted(map(tuple, got), key=str) == removed(rows)
     whole = repeats.remove_repeats(df, columns=["doc_id"], with_bytes=True).collect()
     assert all(hashlib.sha256(x["kept"]).hexdigest() == x["kept_sha256"] and len(x["spans"]) == x["n_spans"] for x in whole)
 
 
+def test_steps_keep_equal_windows_together():
+    r = random.Random(4)
+    core = "".join(r.choice("abcdefghijklmnop") for _ in range(300)).encode()
+    met: dict[bytes, set[int]] = {}
+    for k in range(12):
+        raw = bytes(r.choice(b"xyz") for _ in range(r.randrange(150, 400))) + core[r.randrange(9) : 300 - r.randrange(9)] + bytes(r.choice(b"xyz") for _ in range(r.randrange(150, 400)))
+        windows = 0
+        for a, f, last in zip(*(x.tolist() for x in repeats.segments(raw)), strict=True):
+            piece = raw[f : last + repeats.WINDOW]
+            left = int(np.flatnonzero(repeats._gram_hashes(np.frombuffer(piece, np.uint8)) == np.uint64(a))[0])
+            for key, first, own_left, part in repeats._steps(a, piece, left, f):
+                assert raw[first : first + len(part)] == part and first + own_left == f + left
+                windows += len(part) - repeats.WINDOW + 1
+                for d in range(len(part) - repeats.WINDOW + 1):
+                    met.setdefault(part[d : d + repeats.WINDOW], set()).add(key)
+        assert windows == len(raw) - repeats.WINDOW + 1
+    assert all(len(keys) == 1 for keys in met.values())
+
+
 def test_repeats_in_long_stretches(spark, docs, texts, monkeypatch):
     monkeypatch.setattr(repeats, "STRETCH", 500)
     raw = texts[max(texts, key=lambda i: len(texts[i] or ""))].encode()
