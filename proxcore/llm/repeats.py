@@ -10,7 +10,8 @@ and by what all windows of a step have in common, WINDOW - STEP + 1 bytes, so th
 
 Texts are judged one by one: no match crosses documents. Results go back by the digest of a text, for equal texts have
 equal results. No task gathers more than one block's results, or a share of the anchors with one entry for each block that
-has a segment; what a split anchor leaves together has the same 193 bytes.
+has a segment. A split anchor's segments that have the same 193 bytes still meet in one task, each distinct piece once for
+each batch of texts.
 
 Defined results: a null text is empty; a text shorter than a window loses nothing; a repeated row is a copy, so that a
 text of a window's length or more that occurs twice is removed whole; strings are judged on the input; overlaps count.
@@ -207,17 +208,29 @@ def _steps(anchor: int, piece: bytes, left: int, first: int) -> Iterator[tuple[i
 
 
 def _cut_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The bytes of wanted segments: anchor, mark, first, left (bytes before the anchor), piece, times."""
+    """The bytes of wanted segments: anchor, mark, first, left (bytes before the anchor), piece, times. Where a batch has a
+    piece of a split anchor several times, one row stands for all, as one that is there twice, and rows without a piece say
+    at once what is repeated: first and, in place of left, the end."""
     for batch in batches:
+        rows: list[tuple] = []
+        split: dict[tuple[int, bytes], list[tuple]] = {}
         for k in range(batch.num_rows):
             mark, raw = batch.column("mark")[k].as_py(), batch.column("text")[k].as_py().encode("utf-8", "surrogatepass")
-            rows = []
             for a, f, r, n, hot in zip(*(x.tolist() for x in load(batch.column("wanted")[k].as_py())), strict=True):
                 piece = raw[f : f + r + WINDOW]
                 left = int(np.flatnonzero(_gram_hashes(np.frombuffer(piece, np.uint8)) == np.uint64(a))[0])
-                rows += [(*part, n) for part in (_steps(a, piece, left, f) if hot else [(a, f, left, piece)])]
-            anchor, first, left, piece, times = zip(*rows, strict=True)
-            yield pa.RecordBatch.from_arrays([pa.array(np.array(anchor, np.uint64).view(np.int64)), pa.array([mark] * len(rows)), pa.array(first, pa.int64()), pa.array(left, pa.int64()), pa.array(piece, pa.binary()), pa.array(times, pa.int64())], ["anchor", "mark", "first", "left_bytes", "piece", "times"])
+                if not hot:
+                    rows.append((a, mark, f, left, piece, n))
+                    continue
+                for key, first, own_left, part in _steps(a, piece, left, f):
+                    split.setdefault((key, part), []).append((mark, first, own_left, n))
+        for (key, part), found in split.items():
+            mark, first, left, n = found[0]
+            rows.append((key, mark, first, left, part, n if len(found) == 1 else 2))
+            if len(found) > 1:  # spread by their own places
+                rows += [(xxhash.xxh3_64_intdigest(m, seed=f), m, f, f + len(part), None, 1) for m, f, _, times in found if times == 1]
+        anchor, mark, first, left, piece, times = zip(*rows, strict=True) if rows else [()] * 6
+        yield pa.RecordBatch.from_arrays([pa.array(np.array(anchor, np.uint64).view(np.int64)), pa.array(mark, pa.string()), pa.array(first, pa.int64()), pa.array(left, pa.int64()), pa.array(piece, pa.binary()), pa.array(times, pa.int64())], ["anchor", "mark", "first", "left_bytes", "piece", "times"])
 
 
 def _common(a: bytes, b: bytes) -> int:
@@ -278,8 +291,9 @@ def repeated_windows(pieces: list[bytes], lefts: list[int]) -> list[list[int]]:
 
 def _resolve(pdf: pd.DataFrame) -> pd.DataFrame:
     """Repeated windows of a shard's segments, as spans by digest of the text."""
-    rows: list[tuple[str, int, int]] = []
-    for _, own in pdf.groupby("anchor", sort=False):
+    known = pdf["piece"].isna()
+    rows: list[tuple[str, int, int]] = list(pdf.loc[known, ["mark", "first", "left_bytes"]].itertuples(index=False, name=None))
+    for _, own in pdf[~known].groupby("anchor", sort=False):
         if len(own) < 2:
             continue
         pieces, marks, first, times = own["piece"].tolist(), own["mark"].tolist(), own["first"].tolist(), own["times"].tolist()
