@@ -9,9 +9,11 @@ shingles that 1/64 of its documents have, so a frequency is short by 1/64 of N a
 Samples are drawn by improved consistent weighted sampling in the logarithmic domain: for each shingle and hash a pair of
 Gamma(2, 1) draws and a uniform one follow from the hashed shingle; the least score of a text is its sample, equal for two
 texts with the probability of their weighted Jaccard similarity. BANDS bands of ROWS samples, and the bands in pairs,
-form buckets. In each bucket every member is paired with the least one alone, so pairs grow with the documents and
-not with the square of a bucket. First each text is verified against the partner it meets most often, then pairs that
-would still join two components. Links are closed into components.
+form buckets. First each text is verified against the partner it meets most often among the least members of its buckets.
+Then, in rounds, the least members of each bucket (one, then HUBS_MORE times as many as before) are verified against all its others
+that are in another component and go out of the bucket, until every bucket is within one component. So each two members
+of a bucket are verified or already linked; pairs grow with the square of a bucket only where its members aren't alike.
+Links are closed into components.
 
 Defined results: texts that are equal and have a word form one class; a text of one to four words has one shingle; null,
 empty and wordless texts are classes of their own; a row with a null id gets a null class; rows that repeat an id are one
@@ -26,7 +28,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from proxcore.llm.common import keep
@@ -34,7 +36,7 @@ from proxcore.llm.components import components
 from proxcore.llm.decontaminate import folded
 
 WIDTH, LEAST, SATURATED, ERROR = 5, 0.8, 8, 64
-BANDS, ROWS = 16, 4
+BANDS, ROWS, HUBS_MORE = 16, 4, 8
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 _SHIFT = np.uint64(32)
 
@@ -173,11 +175,10 @@ def weights(texts: DataFrame) -> Weights:
     return Weights({int(r["key"]) & (1 << 64) - 1: idf(r["docs"] / total) for r in found})
 
 
-def _pairs(keys: DataFrame) -> DataFrame:
-    """a, b, n: each member of a bucket with its least member, and in how many buckets they meet."""
-    rows = keys.select("id", F.explode("keys").alias("key"))
-    hubs = rows.groupBy(F.col("key").alias("of")).agg(F.min("id").alias("a"), F.count("*").alias("n")).where("n > 1").drop("n")
-    return rows.join(hubs, F.col("key") == F.col("of")).where("id <> a").groupBy("a", F.col("id").alias("b")).agg(F.count("*").alias("n"))
+def _buckets(keys: DataFrame) -> DataFrame:
+    """key, id: members of the buckets that have more than one."""
+    rows = keys.select(F.explode("keys").alias("key"), "id")
+    return keep(rows.join(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1").select("key"), "key", "left_semi"))
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, sent, least: float) -> DataFrame:  # noqa: ANN001
@@ -185,13 +186,23 @@ def _verified(pairs: DataFrame, texts: DataFrame, sent, least: float) -> DataFra
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own: Weights = sent.value
-        last: tuple[int, tuple] | None = None
+        held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+        size = 0
+
+        def vector(i: int, text: pa.Scalar) -> tuple[np.ndarray, np.ndarray]:
+            nonlocal size
+            if i not in held:
+                if size > 2_000_000:
+                    held.clear()
+                    size = 0
+                held[i] = own.vector(text.as_py())
+                size += len(held[i][0])
+            return held[i]
+
         for batch in batches:
             a, b, good = batch.column("a").to_pylist(), batch.column("b").to_pylist(), []
             for k in range(batch.num_rows):
-                if last is None or last[0] != a[k]:
-                    last = (a[k], own.vector(batch.column("text_a")[k].as_py()))
-                good.append(similarity(last[1], own.vector(batch.column("text_b")[k].as_py())) >= least)
+                good.append(similarity(vector(a[k], batch.column("text_a")[k]), vector(b[k], batch.column("text_b")[k])) >= least)
             at = pa.array(good, pa.bool_())
             yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()).filter(at), pa.array(b, pa.int64()).filter(at)], ["a", "b"])
 
@@ -200,6 +211,31 @@ def _verified(pairs: DataFrame, texts: DataFrame, sent, least: float) -> DataFra
     return two.select("a", "b", "text_a", "text_b").mapInArrow(run, "a bigint, b bigint")
 
 
+def _roots(buckets: DataFrame, texts: DataFrame, sent, least: float) -> DataFrame:  # noqa: ANN001
+    """node, root: components of the links among members of a bucket."""
+    hubs = buckets.groupBy("key").agg(F.min("id").alias("a"))
+    met = buckets.join(hubs, "key").where("id <> a").groupBy("a", F.col("id").alias("b")).agg(F.count("*").alias("n"))
+    tried = keep(met.groupBy("b").agg(F.max_by("a", F.struct("n", -F.col("a"))).alias("a")).select("a", "b"))
+    links = keep(_verified(tried, texts, sent, least))
+    roots, width = keep(components(links)), 1
+    while True:
+        named = buckets.join(roots, F.col("id") == F.col("node"), "left").select("key", "id", F.coalesce("root", "id").alias("root"))
+        buckets = keep(named.join(named.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key"), "key", "left_semi"))
+        if buckets.isEmpty():
+            return roots
+        rank = F.row_number().over(Window.partitionBy("key").orderBy("id"))
+        hubs = keep(buckets.withColumn("rank", rank).where(F.col("rank") <= width).select("key", F.col("id").alias("a"), F.col("root").alias("root_a")))
+        pairs = keep(hubs.join(buckets, "key").where("a < id and root_a <> root").select("a", F.col("id").alias("b")).distinct().join(tried, ["a", "b"], "left_anti"))
+        fresh = keep(_verified(pairs, texts, sent, least))
+        tried = tried.unionByName(pairs)
+        if not fresh.isEmpty():
+            links = links.unionByName(fresh)
+            roots = keep(components(links))
+        # a hub has met all of its bucket
+        buckets = buckets.select("key", "id").join(hubs.select("key", F.col("a").alias("id")), ["key", "id"], "left_anti")
+        width *= HUBS_MORE
+
+
 def classes(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", least: float = LEAST) -> DataFrame:
     """doc_id, class_id (the least id of its class): one row for each document."""
     spark = docs.sparkSession
@@ -227,15 +263,7 @@ def classes(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", leas
     texts = rows.select("id", "text")
     reps = keep(ids.groupBy("mark").agg(F.min("id").alias("rep")))
     keys = signed.where("keys is not null").join(reps.withColumnRenamed("mark", "of"), (F.col("id") == F.col("rep")) & (F.col("mark") == F.col("of"))).dropDuplicates(["id"]).select("id", "keys")
-    pairs = keep(_pairs(keys))
-    first = pairs.groupBy("b").agg(F.max_by("a", F.struct("n", -F.col("a"))).alias("a")).select("a", "b")
-    links = keep(_verified(first, texts, sent, least))
-    roots = keep(components(links))
-    # what may still join two components, without the pairs that failed
-    named = lambda side: roots.select(F.col("node").alias(f"node_{side}"), F.col("root").alias(f"root_{side}"))
-    rest = pairs.join(first, ["a", "b"], "left_anti").join(named("a"), F.col("a") == F.col("node_a"), "left").join(named("b"), F.col("b") == F.col("node_b"), "left").where(F.coalesce("root_a", "a") != F.coalesce("root_b", "b"))
-    links = keep(links.unionByName(_verified(rest.select("a", "b"), texts, sent, least)))
-    roots = components(links)
+    roots = _roots(_buckets(keys), texts, sent, least)
     # equal texts with a word share their representative's class; wordless ones keep their own
     named_marks = reps.join(keys.select(F.col("id").alias("has")), F.col("rep") == F.col("has")).join(roots, F.col("rep") == F.col("node"), "left").select(F.col("mark").alias("of"), F.coalesce("root", "rep").alias("class_id"))
     judged = ids.join(named_marks, F.col("mark") == F.col("of"), "left").select("id", F.coalesce("class_id", "id").alias("class_id"))

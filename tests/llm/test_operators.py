@@ -300,6 +300,15 @@ def test_near_duplicates_are_brute_force(spark):
     assert got == {i: find(i) for i in v}
 
 
+def test_a_pair_among_hundreds_that_share_a_passage_is_found(spark):
+    passage = " ".join(f"shared{k}" for k in range(90))
+    rows = [(i, f"{passage} " + " ".join(f"w{i}x{k}" for k in range(25))) for i in range(200)]
+    rows += [(i, " ".join(f"f{i}x{k}" for k in range(6))) for i in range(2000, 3500)]
+    rows += [(1000, f"{passage} one end"), (1001, f"{passage} another close")]
+    got = {x["doc_id"]: x["class_id"] for x in near_duplicates.classes(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert got == {i: 1000 if i == 1001 else i for i, _ in rows}
+
+
 def test_samples_meet_as_often_as_texts_are_similar():
     r = np.random.default_rng(2)
     keys = np.sort(r.integers(0, 1 << 62, 300).astype(np.uint64))
