@@ -102,9 +102,9 @@ def temporal_distances(edges: Iterable[Edge], members: Iterable[int], mix: float
     return dist
 
 
-def inefficiency_community(g: TemporalGraph, queries: Queries, k: float = 0.5, mix: float = 0.5, most: int = 40) -> DataFrame:
-    """q, v, score, exact (false): grown from the query by the neighbour that raises the sum of pair efficiencies most."""
-    edges = ball(g, queries)
+def inefficiency_community(g: TemporalGraph, queries: Queries, k: float = 0.5, mix: float = 0.5) -> DataFrame:
+    """q, v, score, exact (false): grown from the query by the neighbour that raises the sum of pair efficiencies most, until none does."""
+    edges = ball(g, queries, 2)
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         q = int(key[0])
@@ -112,24 +112,27 @@ def inefficiency_community(g: TemporalGraph, queries: Queries, k: float = 0.5, m
         names = sorted({x for e in own for x in e[:2]})
         score, s = 0.0, {q}
 
-        def value(members: set[int]) -> float:
-            d = temporal_distances([e for e in own if e[0] in members and e[1] in members], members, mix)
+        def value(members: set[int], inner: list[Edge]) -> float:
+            d = temporal_distances(inner, members, mix)
             total, order = 0.0, sorted(members)
             for i, a in enumerate(order):
                 for b in order[i + 1 :]:
                     total += k * (1 / d.get((a, b), float("inf")) + 1 / d.get((b, a), float("inf"))) - 1
             return total
 
-        linked = defaultdict(set)
-        for u, v, _ in own:
-            linked[u].add(v)
-            linked[v].add(u)
-        for _ in range(most):
-            near = sorted({w for v in s for w in linked[v]} - s)[:most]
-            tries = [(value(s | {w}), -w) for w in near]
+        of: dict[int, list[Edge]] = defaultdict(list)
+        for e in own:
+            of[e[0]].append(e)
+            of[e[1]].append(e)
+        inner: list[Edge] = []
+        joining = lambda w: [e for e in of[w] if e[0] in s or e[1] in s]
+        while True:
+            near = {x for v in s for e in of[v] for x in e[:2]} - s
+            tries = [(value(s | {w}, inner + joining(w)), -w) for w in near]
             if not tries or (max(tries)[0] <= score and len(s) > 1):
                 break
             score, w = max(tries)
+            inner += joining(-w)
             s = s | {-w}
         return pd.DataFrame([(q, v, score, False) for v in sorted(s) if v in names], columns=["q", "v", "score", "exact"])
 

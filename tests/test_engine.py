@@ -222,6 +222,13 @@ def test_temporal_baselines(spark):
     assert 1 in {r["v"] for r in heuristics.inefficiency_community(g, [1]).collect()}
 
 
+def test_the_connector_tries_every_neighbour_within_two_steps(spark):
+    dense = [1, *range(51, 61)]
+    edges = [(0, v, 1) for v in range(1, 61)] + [(u, v, 1) for u, v in combinations(dense, 2)] + [(v, 70, 1) for v in dense]
+    got = heuristics.inefficiency_community(graph(spark, edges).settled(), [0], k=1).collect()
+    assert {r["v"] for r in got} == {0, *dense, 70}
+
+
 def test_drift(spark):
     # five vertices, seven edges at three times
     edges = [(1, 3, 2), (1, 4, 4), (3, 4, 2), (3, 5, 3), (4, 5, 3), (4, 6, 4), (5, 6, 2)]
