@@ -1,6 +1,7 @@
-"""Baselines that are hard to solve: periodic cliques, exact on bounded neighbourhoods, and the greedy inefficiency connector.
+"""Baselines that are hard to solve: periodic cliques, by an exact search, and the greedy inefficiency connector.
 
-Each query is one task over the edges among the query's neighbours (for the connector, its two-step ball)."""
+The clique search has a task for each query, start, period and second member, over the edges among the common neighbours
+of both; the connector is one task for each query over the two-step ball of its tree."""
 
 from __future__ import annotations
 
@@ -15,7 +16,7 @@ from pyspark.sql import functions as F
 from proxcore.graph import TemporalGraph
 from proxcore.kernels import Edge
 from proxcore.proximity import Queries
-from proxcore.runtime import query_table, settle
+from proxcore.runtime import Growing, query_table, settle
 
 
 def ball(g: TemporalGraph, queries: Queries, hops: int = 1) -> DataFrame:
@@ -36,46 +37,77 @@ def periodic_edges(g: TemporalGraph, sigma: int = 3) -> DataFrame:
     return out.select("u", "v", "start", "period")
 
 
-def largest_clique(adj: dict[int, set[int]], q: int, most_steps: int = 200_000) -> tuple[set[int], bool]:
-    """The largest clique with q, the least by members at ties, and whether the search was complete."""
+def largest_clique(adj: dict[int, set[int]], start: Iterable[int] = ()) -> list[int]:
+    """The largest clique among the given vertices (all by default), the least by members at ties: branch and bound, where a
+    greedy colouring of the vertices at hand says how many of them a clique can have at most."""
     best: list[int] = []
-    steps = 0
+
+    def coloured(rest: list[int]) -> list[tuple[int, int]]:
+        """Vertices by colour, each with the number of colours up to its own."""
+        out, left, colour = [], rest, 0
+        while left:
+            colour += 1
+            same: list[int] = []
+            for v in left:
+                if not any(w in adj[v] for w in same):
+                    same.append(v)
+            taken = set(same)
+            out += [(v, colour) for v in same]
+            left = [v for v in left if v not in taken]
+        return out
 
     def grow(clique: list[int], rest: list[int]) -> None:
-        nonlocal best, steps
-        steps += 1
-        if len(clique) > len(best):
-            best = clique
-        for k, v in enumerate(rest):
-            if len(clique) + len(rest) - k <= len(best) or steps > most_steps:
+        nonlocal best
+        if not rest:
+            own = sorted(clique)
+            if (len(own), [-x for x in own]) > (len(best), [-x for x in best]):
+                best = own
+            return
+        open_ = coloured(rest)
+        alive = set(rest)
+        for v, colours in reversed(open_):
+            if len(clique) + colours < len(best):  # one as large may still have lesser members
                 return
-            grow([*clique, v], [w for w in rest[k + 1 :] if w in adj[v]])
+            grow([*clique, v], [w for w in rest if w in alive and w in adj[v]])
+            alive.discard(v)
+        return
 
-    grow([q], sorted(adj[q]))
-    return set(best), steps <= most_steps
+    grow([], sorted(start or adj))
+    return best
 
 
 def periodic_clique(g: TemporalGraph, queries: Queries, sigma: int = 3, min_size: int = 3) -> DataFrame:
-    """q, v, start, period, exact: the largest set with the query whose pairs all meet at sigma equally spaced times."""
-    near = ball(g, queries)
-    keyed = settle(near.select("q", "u", "v").distinct()).join(settle(periodic_edges(g, sigma)), ["u", "v"])
-
-    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
-        q, best, exact = int(key[0]), (0, 0, 0, set()), True
-        for (start, period), own in pdf.groupby(["start", "period"]):
-            adj: dict[int, set[int]] = defaultdict(set)
-            for u, v in zip(own["u"].tolist(), own["v"].tolist(), strict=True):
-                adj[u].add(v)
-                adj[v].add(u)
-            if q in adj and len(adj[q]) + 1 > best[0]:
-                found, complete = largest_clique(adj, q)
-                exact &= complete
-                if len(found) > best[0]:
-                    best = (len(found), int(start), int(period), found)
-        rows = [(q, v, best[1], best[2], exact) for v in sorted(best[3])] if best[0] >= min_size else []
-        return pd.DataFrame(rows, columns=["q", "v", "start", "period", "exact"])
-
-    return keyed.groupBy("q").applyInPandas(run, "q bigint, v bigint, start bigint, period bigint, exact boolean")
+    """q, v, start, period, exact (true): the largest set with the query whose pairs all meet at sigma equally spaced times; of
+    equally large ones the earliest start, the shortest period, then the least members."""
+    spark = g.edges.sparkSession
+    timed = settle(periodic_edges(g, sigma))
+    both = timed.select("start", "period", F.explode(F.array(F.struct("u", "v"), F.struct(F.col("v").alias("u"), F.col("u").alias("v")))).alias("e")).select("start", "period", "e.u", "e.v")
+    near = settle(query_table(spark, queries).join(both, F.col("u") == F.col("q")).select("q", "start", "period", F.col("v").alias("w")))
+    # a branch: the query and its least other member; what may follow are greater neighbours of both
+    key = ["q", "start", "period"]
+    later = near.join(both.select("start", "period", F.col("u").alias("w"), F.col("v").alias("x")), ["start", "period", "w"]).where("x > w").join(near.select(*key, F.col("w").alias("x")), [*key, "x"])
+    later = settle(later.select(*key, "w", "x"))
+    inner = later.join(timed.select("start", "period", F.col("u").alias("x"), F.col("v").alias("y")), ["start", "period", "x"]).join(later.select(*key, "w", F.col("x").alias("y")), [*key, "w", "y"])
+    parts = inner.select(*key, "w", "x", "y").unionByName(later.select(*key, "w", "x", F.lit(None).cast("bigint").alias("y")))
+
+    def run(at: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        adj: dict[int, set[int]] = {int(x): set() for x in pdf["x"]}
+        closed = pdf.dropna(subset=["y"])
+        for x, y in zip(closed["x"].astype("int64").tolist(), closed["y"].astype("int64").tolist(), strict=True):
+            adj[x].add(y)
+            adj[y].add(x)
+        q, start, period, w = (int(k) for k in at)
+        found = sorted([q, w, *largest_clique(adj)])
+        return pd.DataFrame({"q": [q], "start": [start], "period": [period], "members": [found]})
+
+    branches = parts.groupBy(*key, "w").applyInPandas(run, "q bigint, start bigint, period bigint, members array<bigint>")
+    pairs = near.select(*key, F.array_sort(F.array("q", "w")).alias("members"))
+    size = F.size("members")
+    # of equally large ones the least by start, period and members
+    every = branches.unionByName(pairs).where(size >= min_size).withColumn("size", size)
+    top = every.groupBy("q").agg(F.max("size").alias("size"))
+    best = every.join(top, ["q", "size"]).groupBy("q").agg(F.min(F.struct("start", "period", "members")).alias("b"))
+    return best.select("q", F.explode("b.members").alias("v"), "b.start", "b.period", F.lit(True).alias("exact"))
 
 
 def temporal_distances(edges: Iterable[Edge], members: Iterable[int], mix: float) -> dict[tuple[int, int], float]:
@@ -102,38 +134,79 @@ def temporal_distances(edges: Iterable[Edge], members: Iterable[int], mix: float
     return dist
 
 
+def query_tree(static: DataFrame, wanted: list[int]) -> DataFrame | None:
+    """v: a tree that joins a set of vertices, by shortest paths from the least of them; None where they aren't joined. Paths are
+    at most as many edges together as the set's other vertices times the best tree."""
+    spark = static.sparkSession
+    reached = Growing(spark.createDataFrame([(wanted[0], None)], "v bigint, parent bigint"))
+    frontier, left = reached.table, len(set(wanted)) - 1
+    rest = query_table(spark, wanted[1:]).withColumnRenamed("q", "v") if left else None
+    while left:
+        step = frontier.select("v").join(static, "v").groupBy(F.col("nbr").alias("v")).agg(F.min(F.col("v")).alias("parent"))
+        frontier = reached.add(step.join(reached.table, "v", "left_anti"))
+        if frontier.limit(1).count() == 0:
+            return None
+        left -= frontier.join(rest, "v").count()
+    tree = Growing(query_table(spark, wanted).withColumnRenamed("q", "v"))
+    up = tree.table
+    while True:
+        up = tree.add(reached.table.join(up, "v", "left_semi").where("parent is not null").select(F.col("parent").alias("v")).distinct().join(tree.table, "v", "left_anti"))
+        if up.limit(1).count() == 0:
+            return tree.table
+
+
+def _grown(own: list[Edge], s: set[int], k: float, mix: float) -> tuple[set[int], float]:
+    """From a start set, the neighbour that raises the sum of pair efficiencies most is added until none does."""
+
+    def value(members: set[int], inner: list[Edge]) -> float:
+        d = temporal_distances(inner, members, mix)
+        total, order = 0.0, sorted(members)
+        for i, a in enumerate(order):
+            for b in order[i + 1 :]:
+                total += k * (1 / d.get((a, b), float("inf")) + 1 / d.get((b, a), float("inf"))) - 1
+        return total
+
+    of: dict[int, list[Edge]] = defaultdict(list)
+    for e in own:
+        of[e[0]].append(e)
+        of[e[1]].append(e)
+    inner = [e for e in own if e[0] in s and e[1] in s]
+    score, alone = value(s, inner), len(s) == 1
+    while True:
+        near = {x for v in s for e in of[v] for x in e[:2]} - s
+        tries = [(value(s | {w}, inner + [e for e in of[w] if e[0] in s or e[1] in s]), -w) for w in near]
+        if not tries or (max(tries)[0] <= score and not alone):
+            return s, score
+        score, w = max(tries)
+        inner += [e for e in of[-w] if e[0] in s or e[1] in s]
+        s, alone = s | {-w}, False
+
+
 def inefficiency_community(g: TemporalGraph, queries: Queries, k: float = 0.5, mix: float = 0.5) -> DataFrame:
     """q, v, score, exact (false): grown from the query by the neighbour that raises the sum of pair efficiencies most, until none does."""
-    edges = ball(g, queries, 2)
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         q = int(key[0])
-        own = list(zip(pdf["u"].tolist(), pdf["v"].tolist(), pdf["t"].tolist(), strict=True))
-        names = sorted({x for e in own for x in e[:2]})
-        score, s = 0.0, {q}
-
-        def value(members: set[int], inner: list[Edge]) -> float:
-            d = temporal_distances(inner, members, mix)
-            total, order = 0.0, sorted(members)
-            for i, a in enumerate(order):
-                for b in order[i + 1 :]:
-                    total += k * (1 / d.get((a, b), float("inf")) + 1 / d.get((b, a), float("inf"))) - 1
-            return total
-
-        of: dict[int, list[Edge]] = defaultdict(list)
-        for e in own:
-            of[e[0]].append(e)
-            of[e[1]].append(e)
-        inner: list[Edge] = []
-        joining = lambda w: [e for e in of[w] if e[0] in s or e[1] in s]
-        while True:
-            near = {x for v in s for e in of[v] for x in e[:2]} - s
-            tries = [(value(s | {w}, inner + joining(w)), -w) for w in near]
-            if not tries or (max(tries)[0] <= score and len(s) > 1):
-                break
-            score, w = max(tries)
-            inner += joining(-w)
-            s = s | {-w}
-        return pd.DataFrame([(q, v, score, False) for v in sorted(s) if v in names], columns=["q", "v", "score", "exact"])
-
-    return edges.groupBy("q").applyInPandas(run, "q bigint, v bigint, score double, exact boolean")
+        s, score = _grown(list(zip(pdf["u"].tolist(), pdf["v"].tolist(), pdf["t"].tolist(), strict=True)), {q}, k, mix)
+        return pd.DataFrame([(q, v, score, False) for v in sorted(s)], columns=["q", "v", "score", "exact"])
+
+    return ball(g, queries, 2).groupBy("q").applyInPandas(run, "q bigint, v bigint, score double, exact boolean")
+
+
+def inefficiency_community_multi(g: TemporalGraph, queries: Iterable[int], k: float = 0.5, mix: float = 0.5) -> DataFrame:
+    """v, score, exact (false) for a set of query vertices: grown in the same way from a tree that joins them."""
+    wanted = sorted(set(queries))
+    g = g.settled()
+    tree = query_tree(settle(g.static), wanted)
+    schema = "v bigint, score double, exact boolean"
+    if tree is None:
+        return g.edges.sparkSession.createDataFrame([], schema)
+    start = [r["v"] for r in tree.collect()]  # paths between the query vertices
+    head = start[0]
+    near = ball(g, start, 2).select(F.lit(head).alias("q"), "u", "v", "t").distinct()
+
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        s, score = _grown(list(zip(pdf["u"].tolist(), pdf["v"].tolist(), pdf["t"].tolist(), strict=True)), set(start), k, mix)
+        return pd.DataFrame([(v, score, False) for v in sorted(s)], columns=["v", "score", "exact"])
+
+    return near.groupBy("q").applyInPandas(run, schema)

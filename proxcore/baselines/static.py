@@ -9,7 +9,7 @@ from proxcore import compact
 from proxcore.cores import component, core_numbers
 from proxcore.graph import TemporalGraph
 from proxcore.proximity import Queries, prepared, prox_hops, push_static
-from proxcore.runtime import query_table, settle
+from proxcore.runtime import Growing, query_table, settle
 
 
 def _at_own_level(static: DataFrame, levels: DataFrame, queries: DataFrame) -> DataFrame:
@@ -50,14 +50,18 @@ def truss_numbers(static: DataFrame) -> DataFrame:
     around = settle(side("a", "b", "a", "c", "b", "c").unionByName(side("a", "c", "a", "b", "b", "c")).unionByName(side("b", "c", "a", "b", "a", "c")))
     now = settle(around.groupBy("u", "v").agg(F.count("*").alias("k")))
     order = Window.partitionBy("u", "v").orderBy(F.desc("near"))
+    changed = None
     while True:
         of = lambda name: now.select(F.struct("u", "v").alias(name), F.col("k").alias(f"k_{name}"))  # noqa: E731, B023
-        near = around.join(of("e"), "e").join(of("f"), "f").select("u", "v", F.least("k_e", "k_f").alias("near"))
+        # only edges that share a triangle with a lowered one are taken up again
+        todo = now if changed is None else around.join(changed, "e", "left_semi").select("u", "v").unionByName(around.join(changed.withColumnRenamed("e", "f"), "f", "left_semi").select("u", "v")).distinct().join(now, ["u", "v"])
+        near = around.join(todo.select("u", "v"), ["u", "v"], "left_semi").join(of("e"), "e").join(of("f"), "f").select("u", "v", F.least("k_e", "k_f").alias("near"))
         level = near.withColumn("level", F.least("near", F.row_number().over(order))).groupBy("u", "v").agg(F.max("level").alias("level"))
-        fresh = settle(now.join(level, ["u", "v"]).select("u", "v", F.least("k", "level").cast("bigint").alias("k")))
-        if fresh.agg(F.sum("k")).first()[0] == now.agg(F.sum("k")).first()[0]:
+        fresh = settle(todo.join(level, ["u", "v"]).select("u", "v", F.col("level").cast("bigint").alias("lower"), "k").where("lower < k").select("u", "v", "lower"))
+        if fresh.limit(1).count() == 0:
             break
-        now = fresh
+        now = settle(now.join(fresh, ["u", "v"], "left").select("u", "v", F.coalesce("lower", "k").alias("k")))
+        changed = fresh.select(F.struct("u", "v").alias("e"))
     rest = static.where("v < nbr").select(F.col("v").alias("u"), F.col("nbr").alias("v"))
     return rest.join(now, ["u", "v"], "left").select("u", "v", (F.coalesce("k", F.lit(0)) + 2).alias("k"))
 
@@ -77,14 +81,14 @@ def truss_community(g: TemporalGraph, queries: Queries) -> DataFrame:
     full = settle(t.join(e("a", "b"), ["a", "b"]).join(e("a", "c"), ["a", "c"]).join(e("b", "c"), ["b", "c"]).select("a", "b", "c", F.least("k_ab", "k_ac", "k_bc").alias("k")))
     pair = lambda x, y: F.struct(F.col(x).alias("u"), F.col(y).alias("v"))
     sides = settle(full.select("k", F.explode(F.array(pair("a", "b"), pair("a", "c"), pair("b", "c"))).alias("from"), F.array(pair("a", "b"), pair("a", "c"), pair("b", "c")).alias("all")))
-    frontier = seen
+    seen = Growing(seen)
+    frontier = seen.table
     while True:
         step = frontier.join(level, "q").join(sides.select(F.col("from.u").alias("u"), F.col("from.v").alias("v"), "k", "all"), ["u", "v"]).where("k >= level").select("q", F.explode("all").alias("e")).select("q", "e.u", "e.v").distinct()
-        frontier = settle(step.join(seen, ["q", "u", "v"], "left_anti"))
+        frontier = seen.add(step.join(seen.table, ["q", "u", "v"], "left_anti"))
         if frontier.limit(1).count() == 0:
             break
-        seen = settle(seen.unionByName(frontier))
-    return seen.select("q", F.explode(F.array("u", "v")).alias("v")).distinct().join(level, "q").select("q", "v", F.col("level").alias("k"))
+    return seen.table.select("q", F.explode(F.array("u", "v")).alias("v")).distinct().join(level, "q").select("q", "v", F.col("level").alias("k"))
 
 
 def sweep_cut(g: TemporalGraph, queries: Queries, alpha: float = 0.2, least: float = 1e-4) -> DataFrame:
@@ -110,10 +114,10 @@ def floor_levels(static: DataFrame, prox: DataFrame, k: int) -> DataFrame:
     while True:
         near = now.select("q", "v").join(static, "v").join(now.select("q", F.col("v").alias("nbr"), F.col("level").alias("near")), ["q", "nbr"])
         kth = near.withColumn("r", F.row_number().over(order)).where(F.col("r") == k).select("q", "v", "near")
-        fresh = settle(now.join(kth, ["q", "v"]).select("q", "v", F.least("level", "near").alias("level")))
-        if fresh.agg(F.count("*"), F.sum("level")).first() == now.agg(F.count("*"), F.sum("level")).first():
-            return fresh
-        now = fresh
+        fresh = settle(now.join(kth, ["q", "v"], "left").select("q", "v", F.least("level", "near").alias("level"), (F.col("near").isNull() | (F.col("near") < F.col("level"))).alias("fell"), F.col("near").isNotNull().alias("stays")))
+        now = fresh.where("stays").select("q", "v", "level")
+        if fresh.where("fell").limit(1).count() == 0:
+            return now
 
 
 def floor_kcore(g: TemporalGraph, queries: Queries, alpha: float = 0.2, k: int = 3, prox: DataFrame | None = None, *, method: str = "auto") -> DataFrame:

@@ -3,13 +3,15 @@ all of them are worked on at a time."""
 
 from __future__ import annotations
 
+from collections.abc import Iterable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from proxcore.cores import component, core_numbers
 from proxcore.graph import TemporalGraph
 from proxcore.proximity import Queries
-from proxcore.runtime import query_table, settle
+from proxcore.runtime import Growing, query_table, settle
 
 
 def in_windows(g: TemporalGraph, length: int) -> DataFrame:
@@ -24,12 +26,10 @@ def _both(pairs: DataFrame) -> DataFrame:
 
 
 def _keyed_cores(pairs: DataFrame) -> DataFrame:
-    """w, v, core: core numbers within each window's pairs (w, u, v); vertices are numbered by window and vertex."""
-    arcs = settle(_both(pairs))
-    ids = settle(arcs.select("w", "v").distinct().withColumn("id", F.xxhash64("w", "v")))
-    static = settle(arcs.join(ids, ["w", "v"]).join(ids.select("w", F.col("v").alias("nbr"), F.col("id").alias("other")), ["w", "nbr"]).select(F.col("id").alias("v"), F.col("other").alias("nbr")))
+    """w, v, core: core numbers within each window's pairs (w, u, v); a vertex is named by window and vertex."""
+    static = settle(_both(pairs).select(F.struct("w", "v").alias("v"), F.struct("w", F.col("nbr").alias("v")).alias("nbr")))
     ones = static.select(F.lit(0).cast("bigint").alias("q"), "v", F.lit(1).cast("bigint").alias("units")).distinct()
-    return core_numbers(static, ones).select(F.col("v").alias("id"), "core").join(ids, "id").select("w", "v", "core")
+    return core_numbers(static, ones).select("v.w", "v.v", "core")
 
 
 def interval_core(g: TemporalGraph, queries: Queries, interval: tuple[int, int]) -> DataFrame:
@@ -45,6 +45,22 @@ def best_interval(g: TemporalGraph, queries: Queries, length: int) -> DataFrame:
     return _best_windows(g, queries, pairs)
 
 
+def interval_core_multi(g: TemporalGraph, queries: Iterable[int], interval: tuple[int, int]) -> DataFrame:
+    """v, k for a set of query vertices: the core of the largest k among pairs that meet at every time of [start, end], one
+    component of which holds the set. No rows without one."""
+    start, end = interval
+    wanted = sorted(set(queries))
+    pairs = settle(g.slice(start, end + 1).edges.groupBy("u", "v").agg(F.count_distinct("t").alias("n")).where(F.col("n") == end - start + 1).select(F.lit(0).cast("bigint").alias("w"), "u", "v"))
+    levels = settle(_keyed_cores(pairs).select(F.lit(wanted[0]).cast("bigint").alias("q"), "v", "core"))
+    static = settle(_both(pairs).select("v", "nbr"))
+    own = [r["core"] for r in levels.where(F.col("v").isin(wanted)).collect()]  # one for each query vertex
+    for k in range(min(own) if len(own) == len(wanted) else 0, 0, -1):
+        found = settle(component(static, levels.where(F.col("core") >= k).select("q", "v")))
+        if found.where(F.col("v").isin(wanted)).count() == len(wanted):
+            return found.select("v", F.lit(k).cast("bigint").alias("k"))
+    return g.edges.sparkSession.createDataFrame([], "v bigint, k bigint")
+
+
 def _best_windows(g: TemporalGraph, queries: Queries, pairs: DataFrame) -> DataFrame:
     pairs = settle(pairs)
     cores = settle(_keyed_cores(pairs))
@@ -58,12 +74,13 @@ def _best_windows(g: TemporalGraph, queries: Queries, pairs: DataFrame) -> DataF
 def _component_in(members: DataFrame, arcs: DataFrame) -> DataFrame:
     """q, v: members that the query's own arcs (q, v, nbr) join to it."""
     arcs = settle(arcs)
-    seen = frontier = settle(members.where("v = q"))
+    seen = Growing(members.where("v = q"))
+    frontier = seen.table
     while True:
-        frontier = settle(frontier.join(arcs, ["q", "v"]).select("q", F.col("nbr").alias("v")).distinct().join(members, ["q", "v"], "left_semi").join(seen, ["q", "v"], "left_anti"))
+        near = frontier.join(arcs, ["q", "v"]).select("q", F.col("nbr").alias("v")).distinct()
+        frontier = seen.add(near.join(members, ["q", "v"], "left_semi").join(seen.table, ["q", "v"], "left_anti"))
         if frontier.limit(1).count() == 0:
-            return seen
-        seen = settle(seen.unionByName(frontier))
+            return seen.table
 
 
 def persistent_degree(g: TemporalGraph, theta: int) -> DataFrame:
@@ -100,11 +117,16 @@ def density_bursts(g: TemporalGraph, length: int, slack: float = 0.1) -> DataFra
         whole = now.join(degree, ["w", "v"], "left").na.fill(0, ["d"])
         dens = settle(whole.groupBy("w").agg((F.sum("d") / 2 / F.count("*")).alias("density")))
         step = whole.join(dens, "w").select("w", F.lit(i).alias("round"), "v", "d", "density")
-        history = step.select("w", "round", "v", "density") if history is None else settle(history.unionByName(step.select("w", "round", "v", "density")))
+        rows = step.select("w", "round", "v", "density")
+        if history is None:
+            history = Growing(rows)
+        else:
+            history.add(rows)
         now = settle(step.where(F.col("d") > 2 * (1 + slack) * F.col("density")).select("w", "v"))
         i += 1
         if now.limit(1).count() == 0:
             break
+    history = history.table
     best = history.groupBy("w").agg(F.max_by("round", F.struct("density", -F.col("round"))).alias("round"))
     return history.join(best, ["w", "round"]).join(times, "w").select(F.col("w").alias("set_id"), "v", (F.col("density") / F.col("times")).alias("score"), F.lit(False).alias("exact"))
 

@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxcore.runtime import settle
+from proxcore.runtime import Growing, settle
 
 UNIT = 10**9
 
@@ -66,14 +66,14 @@ def core_numbers(static: DataFrame, weights: DataFrame, members: DataFrame | Non
 
 def component(static: DataFrame, members: DataFrame) -> DataFrame:
     """q, v: of each query's members those that are connected to it; by rounds of semi joins from the frontier."""
-    seen = settle(members.where(F.col("v") == F.col("q")).select("q", "v"))
-    frontier = seen
     inside = settle(members.select("q", "v"))
+    seen = Growing(inside.where(F.col("v") == F.col("q")))
+    frontier = seen.table
     while True:
-        frontier = settle(frontier.join(static.select("v", "nbr"), "v").select("q", F.col("nbr").alias("v")).distinct().join(inside, ["q", "v"], "left_semi").join(seen, ["q", "v"], "left_anti"))
+        near = frontier.join(static.select("v", "nbr"), "v").select("q", F.col("nbr").alias("v")).distinct()
+        frontier = seen.add(near.join(inside, ["q", "v"], "left_semi").join(seen.table, ["q", "v"], "left_anti"))
         if frontier.limit(1).count() == 0:
-            return seen
-        seen = settle(seen.unionByName(frontier))
+            return seen.table
 
 
 def connected_components(static: DataFrame) -> DataFrame:
@@ -81,12 +81,12 @@ def connected_components(static: DataFrame) -> DataFrame:
     now = settle(static.groupBy("v").agg(F.least(F.min("nbr"), F.first("v")).alias("label")))
     while True:
         near = static.join(now.select(F.col("v").alias("nbr"), F.col("label").alias("near")), "nbr").groupBy("v").agg(F.min("near").alias("near"))
-        low = now.join(near, "v").select("v", F.least("label", "near").alias("label"))
-        jump = low.join(low.select(F.col("v").alias("label"), F.col("label").alias("next")), "label").select("v", F.least("label", "next").alias("label"))
+        low = now.join(near, "v").select("v", F.col("label").alias("was"), F.least("label", "near").alias("label"))
+        jump = low.join(low.select(F.col("v").alias("label"), F.col("label").alias("next")), "label").select("v", "was", F.least("label", "next").alias("label"))
         fresh = settle(jump)
-        if fresh.agg(F.sum("label")).first()[0] == now.agg(F.sum("label")).first()[0]:
-            return fresh
-        now = fresh
+        now = fresh.select("v", "label")
+        if fresh.where("label <> was").limit(1).count() == 0:
+            return now
 
 
 def is_proximity_core(static: DataFrame, weights: DataFrame, members: DataFrame, floor: DataFrame) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import warnings
 from collections.abc import Iterable
 
 import pandas as pd
@@ -57,6 +58,7 @@ def peel(static: DataFrame, weights: DataFrame, queries: DataFrame, most_edges:
     sized = settle(edges.join(w.select("q", "v", F.col("units").alias("a")), ["q", "v"], "left").join(w.select("q", F.col("v").alias("nbr"), F.col("units").alias("b")), ["q", "nbr"], "left").na.fill(0, ["a", "b"]))
     worst = sized.groupBy("q").count().agg(F.max("count")).first()[0] or 0
     if worst > most_edges:
+        warnings.warn(f"a query's subgraph has {worst} edges, beyond the {most_edges} of a task: core numbers are refined instead, with equal results", stacklevel=2)
         return from_weights(static, weights, queries, method="refine")
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
@@ -99,8 +101,8 @@ def exact_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float
     weights = settle(in_units(prox_multi(per_query, combine).select(F.lit(head).cast("bigint").alias("q"), "v", "prox"), unit))
     cores = settle(core_numbers(static, weights))
     levels = [r[0] for r in cores.join(query_table(spark, wanted).withColumnRenamed("q", "v"), "v").select("core").collect()]  # one for each query vertex
-    low, high = 0, min(levels) if len(levels) == len(wanted) else 0
-    choices = [r[0] for r in cores.where((F.col("core") <= high) & (F.col("core") > 0)).select("core").distinct().orderBy("core").collect()] if high else []
+    high = min(levels) if len(levels) == len(wanted) else 0
+    choices = settle(cores.where(F.col("core") > 0).select("core").distinct())
 
     def holds(beta: int) -> DataFrame | None:
         inside = cores.where(F.col("core") >= beta).select("q", "v") if beta else static.select(F.lit(head).cast("bigint").alias("q"), "v").distinct()
@@ -108,11 +110,12 @@ def exact_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float
         return found if found.where(F.col("v").isin(wanted)).count() == len(wanted) else None
 
     best, beta = None, 0
-    low, high = 0, len(choices)
-    while low < high:  # over the distinct levels, a bisection
-        mid = (low + high + 1) // 2
-        if (found := holds(choices[mid - 1])) is not None:
-            best, beta, low = found, choices[mid - 1], mid
+    while True:  # bisection over the distinct levels that are left, above beta and up to high
+        mid = choices.where((F.col("core") > beta) & (F.col("core") <= high)).agg(F.percentile_approx("core", 0.5, 1000)).first()[0]
+        if mid is None:
+            break
+        if (found := holds(mid)) is not None:
+            best, beta = found, mid
         else:
             high = mid - 1
     best = best if best is not None else holds(0)

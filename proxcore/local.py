@@ -20,7 +20,7 @@ from proxcore import compact, kernels
 from proxcore.cores import component
 from proxcore.graph import TemporalGraph
 from proxcore.proximity import Queries, fold, prepared, seeds
-from proxcore.runtime import query_table, settle
+from proxcore.runtime import Growing, query_table, settle
 from proxcore.transitions import Decay
 
 #: Temporal edges that one task may hold, and that may be broadcast.
@@ -60,28 +60,41 @@ def push_temporal(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, lea
     return lower, residue
 
 
-def expand_levels(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", prune: bool = True, stop: bool = True, least: float | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """members (q, v); lower (q, v, low); facts (q, residue, beta, levels, visited, reason)."""
+def _holding(static: DataFrame, members: DataFrame, wanted: DataFrame) -> DataFrame:
+    """q: those whose members join all its wanted vertices (q, v); the least of them names the query."""
+    hit = component(static, members).join(wanted, ["q", "v"], "left_semi").groupBy("q").agg(F.count("*").alias("n"))
+    return hit.join(wanted.groupBy("q").agg(F.count("*").alias("all")), "q").where("n = all").select("q")
+
+
+def expand_levels(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", prune: bool = True, stop: bool = True, least: float | None = None, together: DataFrame | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """members (q, v); lower (q, v, low); facts (q, residue, beta, levels, visited, reason).
+
+    together: start residues (q, src, dst, t, r) of sets of query vertices, each under the name of its least vertex, in place of
+    queries. The walk is linear in its start, so a set's bounds hold as one query's do; a best value counts only once the
+    expanded vertices join all of the set, for only then they are a community of it."""
     g, states = prepared(g, decay)
     static = settle(g.static)
     spark = g.edges.sparkSession
     least = 1 / max(1, g.edges.count()) if least is None else least
-    residue = settle(seeds(g, query_table(spark, queries)).withColumnRenamed("mass", "r"))
-    queue = settle(residue.select("q", F.col("q").alias("v")).distinct())
-    members, visited = queue.where("false"), queue
+    residue = settle(seeds(g, query_table(spark, queries)).withColumnRenamed("mass", "r") if together is None else together)
+    queue = settle(residue.select("q", F.col("src").alias("v")).distinct())
+    wanted, whole = queue, queue.select("q").distinct()
+    members, seen = queue.where("false"), Growing(queue)
     lower = queue.withColumn("low", F.lit(0.0)).where("false")
-    facts = settle(queue.select("q", F.lit(1.0).alias("residue"), F.lit(0.0).alias("beta"), F.lit(0).alias("levels"), F.lit("exhausted").alias("reason")))
+    facts = settle(whole.select("q", F.lit(1.0).alias("residue"), F.lit(0.0).alias("beta"), F.lit(0).alias("levels"), F.lit("exhausted").alias("reason")))
     level = 0
     while queue.limit(1).count():
         level += 1
         members = settle(members.unionByName(queue))
         residue, banked = push(residue, queue, g, states, alpha, decay, least)
         lower = settle(lower.unionByName(banked).groupBy("q", "v").agg(F.sum("low").alias("low")))
+        if together is not None:
+            whole = settle(_holding(static, members, wanted))
         best = _lower_degree(static, members.join(queue.select("q").distinct(), "q", "left_semi"), lower).groupBy("q").agg(F.min("low").alias("now"))
+        best = best.join(whole.withColumn("valid", F.lit(True)), "q", "left").select("q", F.when(F.col("valid"), F.col("now")).otherwise(0.0).alias("now"))
         left = residue.groupBy("q").agg(F.sum("r").alias("left"))
         facts = settle(facts.join(best, "q", "left").join(left, "q", "left").select("q", F.when(F.col("now").isNull(), F.col("residue")).otherwise(F.coalesce("left", F.lit(0.0))).alias("residue"), F.greatest("beta", F.coalesce("now", F.lit(0.0))).alias("beta"), F.when(F.col("now").isNull(), F.col("levels")).otherwise(level).alias("levels"), "reason"))
-        fresh = settle(queue.join(static, "v").select("q", F.col("nbr").alias("v")).distinct().join(visited, ["q", "v"], "left_anti"))
-        visited = settle(visited.unionByName(fresh))
+        fresh = seen.add(queue.join(static, "v").select("q", F.col("nbr").alias("v")).distinct().join(seen.table, ["q", "v"], "left_anti"))
         bound = fresh.join(static, "v").join(lower.select("q", F.col("v").alias("nbr"), "low"), ["q", "nbr"], "left").groupBy("q", "v").agg(F.coalesce(F.sum("low"), F.lit(0.0)).alias("low"))
         admitted = bound.join(facts.select("q", "residue", "beta"), "q")
         queue = settle((admitted.where(F.col("residue") + F.col("low") >= F.col("beta")) if prune else admitted).select("q", "v"))
@@ -91,7 +104,7 @@ def expand_levels(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, dec
             members = settle(members.unionByName(queue.join(ended, "q", "left_semi")))
             facts = settle(facts.join(ended.withColumn("end", F.lit(True)), "q", "left").withColumn("reason", F.when(F.col("end"), F.lit("bound")).otherwise(F.col("reason"))).drop("end"))
             queue = settle(queue.join(ended, "q", "left_anti"))
-    counts = visited.groupBy("q").agg(F.count("*").alias("visited"))
+    counts = seen.table.groupBy("q").agg(F.count("*").alias("visited"))
     return members, lower, settle(facts.join(counts, "q"))
 
 
@@ -100,9 +113,9 @@ def rho_bounds(static: DataFrame, members: DataFrame, lower: DataFrame, facts: D
     return _lower_degree(static, members, lower).join(facts.select("q", "residue"), "q").select("q", "v", "low", (F.col("low") + F.col("residue")).alias("high"))
 
 
-def shrink_levels(static: DataFrame, members: DataFrame, lower: DataFrame, facts: DataFrame, *, most: float = 1e12, anchor: str = "max") -> tuple[DataFrame, DataFrame]:
+def shrink_levels(static: DataFrame, members: DataFrame, lower: DataFrame, facts: DataFrame, *, most: float = 1e12, anchor: str = "max", wanted: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """eps (q, eps) and community (q, v): the ratio is halved while the query survives the removal in bulk of vertices whose
-    bound times the ratio stays below the target."""
+    bound times the ratio stays below the target. With wanted (q, v), while one component of what is left holds all of a set."""
     static, alive = settle(static), settle(members)
     rho = _lower_degree(static, alive, lower)
     top = rho.groupBy("q").agg(F.max("low").alias("top"), F.min("low").alias("bottom"), F.max(F.when(F.col("v") == F.col("q"), F.col("low"))).alias("own"))
@@ -115,7 +128,7 @@ def shrink_levels(static: DataFrame, members: DataFrame, lower: DataFrame, facts
             if kept.count() == now.count():
                 break
             now = kept
-        passed = settle(now.where("v = q").select("q"))
+        passed = settle(now.where("v = q").select("q") if wanted is None else _holding(static, now, wanted))
         alive = settle(alive.join(passed, "q", "left_anti").unionByName(now.join(passed, "q", "left_semi")))
         goal = settle(goal.join(passed.withColumn("ok", F.lit(True)), "q", "left").select("q", "target", F.when(F.col("ok"), F.col("ratio")).otherwise(F.col("eps")).alias("eps"), F.when(F.col("ok"), F.col("ratio") / 2).otherwise(F.lit(0.0)).alias("ratio")))
     return goal.select("q", "eps"), component(static, alive)
@@ -171,35 +184,27 @@ def _by_task(g: TemporalGraph, queries: Queries, alpha: float, decay: Decay, pru
     return spread.groupBy("q").applyInPandas(run, "q bigint, v bigint, eps double, residue double, expanded bigint, visited bigint, reason string")
 
 
-def local_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float = 0.2, *, start: str = "mean") -> DataFrame:
-    """v, eps for a set of query vertices. start="mean" weighs queries alike, as the exact method's mean does; "union" by their
-    out-degrees. Each query is expanded without bounds, for a bound of one query doesn't hold for the mix; bounds and members
-    are mixed, and the ratio falls once for each query, as long as it survives. Of the communities with all of them the least
-    ratio counts; without one, the whole expanded set counts, if it is connected. No rows otherwise."""
+def local_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float = 0.2, *, start: str = "mean", decay: Decay = "reciprocal", prune: bool = True, stop: bool = True, anchor: str = "max") -> DataFrame:
+    """v, eps, residue, expanded, visited, reason for a set of query vertices: one expansion from all of them with the bounds of
+    the mixed walk, and a ratio that falls as long as one component holds the set. start="mean" weighs queries alike, as
+    the exact method's mean does; "union" by their out-degrees. No rows where a query has no edge or no component has all."""
     wanted = sorted(set(queries))
     spark = g.edges.sparkSession
     g = g.settled()
-    static, q = settle(g.static), query_table(spark, wanted)
-    out = settle(g.arcs.join(q, F.col("src") == F.col("q")).groupBy("q").agg(F.count("*").alias("arcs")))
-    sizes = {r["q"]: r["arcs"] for r in out.collect()}  # one for each query vertex
-    if len(sizes) < len(wanted):
-        return spark.createDataFrame([], "v bigint, eps double")
-    whole = sum(sizes.values())
-    share = spark.createDataFrame([(k, 1 / len(wanted) if start == "mean" else sizes[k] / whole) for k in wanted], "q bigint, share double")
-    members, lower, facts = expand_levels(g, q, alpha, prune=False, stop=False)
-    mixed = lower.join(share, "q").groupBy("v").agg(F.sum(F.col("low") * F.col("share")).alias("low"))
-    left = facts.join(share, "q").agg(F.sum(F.col("residue") * F.col("share")).alias("residue"))
-    # the same members and bounds under the name of each query vertex
-    everyone = settle(members.select("v").distinct().crossJoin(F.broadcast(q)).select("q", "v"))
-    eps, found = shrink_levels(static, everyone, settle(mixed.crossJoin(F.broadcast(q)).select("q", "v", "low")), settle(q.crossJoin(left)))
+    q = query_table(spark, wanted)
+    head = F.lit(wanted[0]).cast("bigint").alias("q")
+    one_each = seeds(g, q) if start == "mean" else seeds(g, q, "union")
+    share = 1 / len(wanted) if start == "mean" else 1.0
+    first = settle(one_each.select(head, "src", "dst", "t", (F.col("mass") * share).alias("r")))
+    if first.select("src").distinct().count() < len(wanted):
+        return spark.createDataFrame([], "v bigint, eps double, residue double, expanded bigint, visited bigint, reason string")
+    static, members_of = settle(g.static), q.select(head, F.col("q").alias("v"))
+    members, lower, facts = expand_levels(g, wanted, alpha, decay=decay, prune=prune, stop=stop, together=first)
+    eps, found = shrink_levels(static, members, lower, facts, anchor=anchor, wanted=members_of)
     found = settle(found)
-    inside = found.join(q.withColumnRenamed("q", "v"), "v").groupBy("q").agg(F.count("*").alias("n")).where(F.col("n") == len(wanted))
-    best = inside.join(eps, "q").orderBy("eps", "q").first()
-    if best is not None:
-        return found.where(F.col("q") == best["q"]).select("v", F.lit(float(best["eps"])).alias("eps"))
-    joined = settle(component(static, everyone.where(F.col("q") == wanted[0])))
-    complete = joined.where(F.col("v").isin(wanted)).count() == len(wanted)
-    return (joined if complete else joined.limit(0)).select("v", F.lit(math.inf).alias("eps"))
+    complete = _holding(static, found, members_of)
+    size = members.groupBy("q").agg(F.count("*").alias("expanded"))
+    return found.join(complete, "q", "left_semi").join(eps, "q").join(facts, "q").join(size, "q").select("v", "eps", "residue", "expanded", "visited", "reason")
 
 
 def is_eps_community(achieved: DataFrame, best: DataFrame, eps: DataFrame) -> DataFrame:

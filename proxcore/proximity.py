@@ -8,7 +8,7 @@ after at most as many rounds as there are times; `tol` stops earlier, with an er
 
 from __future__ import annotations
 
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -46,26 +46,44 @@ def prepared(g: TemporalGraph, decay: Decay = "reciprocal") -> tuple[TemporalGra
 
 def prox_hops(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", tol: float = 0.0, start: str = "query", states: DataFrame | None = None, most_rounds: int | None = None) -> DataFrame:
     """Round i holds the mass after i + 1 steps. Dead frontiers of some queries cost nothing while others go on."""
-    spark = g.edges.sparkSession
     if states is None:
         g, states = prepared(g, decay)
-    q = query_table(spark, queries)
-    frontier = settle(seeds(g, q, start).groupBy("q", F.col("dst").alias("v"), "t").agg(F.sum("mass").alias("mass")))
-    flags = states.select("v", "t", "dangling")
-    banks, rounds = [], 0
+    out = None
+    for here in _rounds(g, queries, alpha, decay, tol, start, states, most_rounds):
+        bank = here.groupBy("q", "v").agg(F.sum(F.when(F.col("dangling"), F.col("mass")).otherwise(alpha * F.col("mass"))).alias("prox"))
+        out = bank if out is None else out.unionByName(bank)
+    return out.groupBy("q", "v").agg(F.sum("prox").alias("prox"))
+
+
+def _rounds(g: TemporalGraph, queries: Queries, alpha: float, decay: Decay, tol: float, start: str, states: DataFrame, most_rounds: int | None) -> Iterator[DataFrame]:
+    """q, v, t, mass, dangling of each round."""
+    q = query_table(g.edges.sparkSession, queries)
+    frontier = seeds(g, q, start).groupBy("q", F.col("dst").alias("v"), "t").agg(F.sum("mass").alias("mass"))
+    flags, rounds = states.select("v", "t", "dangling"), 0
     while True:
         here = settle(frontier.join(flags, ["v", "t"]))
-        banks.append(here.groupBy("q", "v").agg(F.sum(F.when(F.col("dangling"), F.col("mass")).otherwise(alpha * F.col("mass"))).alias("prox")))
+        yield here
         rounds += 1
-        left = here.where("not dangling").agg(F.count("*").alias("n"), F.max("mass").alias("top"), F.sum("mass").alias("mass")).first()
+        left = here.where("not dangling").agg(F.count("*").alias("n"), F.sum("mass").alias("mass")).first()
         if not left["n"] or left["mass"] <= tol or rounds == most_rounds:
-            break
+            return
         flow = fold(here.where("not dangling").select("q", "v", "t", "mass"), states, g, alpha, decay)
         frontier = flow.join(g.arcs, (F.col("u") == F.col("src")) & (F.col("t2") == F.col("t"))).groupBy("q", F.col("dst").alias("v"), "t").agg(F.sum("flow").alias("mass"))
-    out = banks[0]
-    for bank in banks[1:]:
-        out = out.unionByName(bank)
-    return out.groupBy("q", "v").agg(F.sum("prox").alias("prox"))
+
+
+def work_counters(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal") -> DataFrame:
+    """q, round, states, live, messages, mass: what each round of prox_hops touches. states hold mass, live ones of them pass it
+    on, and messages are the arcs that it is sent along, of which a walk from any state takes each at most once a round."""
+    g, states = prepared(g, decay)
+    sizes = settle(g.occurrences)
+    out = None
+    for k, here in enumerate(_rounds(g, queries, alpha, decay, 0.0, "query", states, None)):
+        first = here.where("not dangling").groupBy("q", "v").agg(F.min("t").alias("first"))
+        sent = first.join(sizes, "v").where("t > first").groupBy("q").agg(F.sum("n_out").alias("messages"))
+        one = here.groupBy("q").agg(F.count("*").alias("states"), F.count_if(~F.col("dangling")).alias("live"), F.sum("mass").alias("mass")).join(sent, "q", "left")
+        one = one.select("q", F.lit(k + 1).cast("bigint").alias("round"), "states", "live", F.coalesce("messages", F.lit(0)).cast("bigint").alias("messages"), "mass")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 def prox_slabs(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, decay: Decay = "reciprocal", slab: int = 1) -> DataFrame:

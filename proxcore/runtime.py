@@ -4,13 +4,14 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-from collections.abc import Iterable
+from collections.abc import Callable, Iterable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _paths: list[str] = []
 _own: dict[str, str] = {}
+_caches: list[Callable[[], None]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -32,8 +33,39 @@ def settle(df: DataFrame) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+class Growing:
+    """A table that rounds add to. Each part is written once; only every MERGE-th one rewrites the whole."""
+
+    MERGE = 8
+
+    def __init__(self, first: DataFrame):
+        self._parts = [settle(first)]
+
+    def add(self, df: DataFrame) -> DataFrame:
+        """The part that was added, as a table."""
+        part = settle(df)
+        self._parts.append(part)
+        if len(self._parts) > self.MERGE:
+            self._parts = [settle(self.table)]
+        return part
+
+    @property
+    def table(self) -> DataFrame:
+        out = self._parts[0]
+        for part in self._parts[1:]:
+            out = out.unionByName(part)
+        return out
+
+
+def forget_at_sweep(forget: Callable[[], None]) -> None:
+    """Registers what drops a cache of settled tables."""
+    _caches.append(forget)
+
+
 def sweep(spark: SparkSession) -> int:
     """Deletes what settle() has written so far; call it once results are stored elsewhere."""
+    for forget in _caches:
+        forget()
     n = 0
     while _paths:
         path = spark._jvm.org.apache.hadoop.fs.Path(_paths.pop())

@@ -66,12 +66,14 @@ def reachable_states(g: TemporalGraph, q: int) -> DataFrame:
     from proxcore.runtime import settle
 
     best = settle(g.out_arcs(q).groupBy(F.col("dst").alias("v")).agg(F.min("t").alias("first")))
+    earlier = best
     while True:
-        step = best.join(g.arcs, (F.col("v") == F.col("src")) & (F.col("t") > F.col("first"))).select(F.col("dst").alias("v"), F.col("t").alias("first"))
-        fresh = settle(best.unionByName(step).groupBy("v").agg(F.min("first").alias("first")))
-        if fresh.agg(F.count("*"), F.sum("first")).first() == best.agg(F.count("*"), F.sum("first")).first():
+        step = earlier.join(g.arcs, (F.col("v") == F.col("src")) & (F.col("t") > F.col("first"))).groupBy(F.col("dst").alias("v")).agg(F.min("t").alias("first"))
+        known = best.select("v", F.col("first").alias("was"))
+        earlier = settle(step.join(known, "v", "left").where("was is null or first < was").select("v", "first"))
+        if earlier.limit(1).count() == 0:
             break
-        best = fresh
+        best = settle(best.unionByName(earlier).groupBy("v").agg(F.min("first").alias("first")))
     starts = g.out_arcs(q).select(F.col("dst").alias("v"), "t")
     later = best.join(g.arcs, (F.col("v") == F.col("src")) & (F.col("t") > F.col("first"))).select(F.col("dst").alias("v"), "t")
     return starts.unionByName(later).distinct()
