@@ -54,11 +54,15 @@ def interval_core_multi(g: TemporalGraph, queries: Iterable[int], interval: tupl
     levels = settle(_keyed_cores(pairs).select(F.lit(wanted[0]).cast("bigint").alias("q"), "v", "core"))
     static = settle(_both(pairs).select("v", "nbr"))
     own = [r["core"] for r in levels.where(F.col("v").isin(wanted)).collect()]  # one for each query vertex
-    for k in range(min(own) if len(own) == len(wanted) else 0, 0, -1):
-        found = settle(component(static, levels.where(F.col("core") >= k).select("q", "v")))
+    best, low, high = None, 0, min(own) if len(own) == len(wanted) else 0
+    while low < high:  # cores are nested
+        mid = (low + high + 1) // 2
+        found = settle(component(static, levels.where(F.col("core") >= mid).select("q", "v")))
         if found.where(F.col("v").isin(wanted)).count() == len(wanted):
-            return found.select("v", F.lit(k).cast("bigint").alias("k"))
-    return g.edges.sparkSession.createDataFrame([], "v bigint, k bigint")
+            best, low = found.select("v", F.lit(mid).cast("bigint").alias("k")), mid
+        else:
+            high = mid - 1
+    return g.edges.sparkSession.createDataFrame([], "v bigint, k bigint") if best is None else best
 
 
 def _best_windows(g: TemporalGraph, queries: Queries, pairs: DataFrame) -> DataFrame:

@@ -6,14 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from proxcore.catalog import community, relational, structure
+from proxcore.catalog import community, relational, structure, surroundings
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
-    return structure.QUERIES | community.QUERIES | relational.QUERIES
+    return structure.QUERIES | community.QUERIES | surroundings.QUERIES | relational.QUERIES
 
 
 def oracle_sql() -> dict[str, str]:
-    return structure.SQL | community.SQL | relational.SQL
+    return structure.SQL | community.SQL | surroundings.SQL | relational.SQL

@@ -73,6 +73,10 @@ class Arrays:
         self.degree = np.bincount(self.x, minlength=self.n)
         self.first = np.cumsum(self.degree) - self.degree
 
+    def nbytes(self) -> int:
+        """Of the graph's arrays."""
+        return sum(x.nbytes for x in vars(self).values() if isinstance(x, np.ndarray))
+
     def at(self, q: int) -> int | None:
         k = int(np.searchsorted(self.ids, q))
         return k if k < self.n and self.ids[k] == q else None
@@ -163,13 +167,21 @@ class Arrays:
                 (degree, alive), low = found, mid
         return float(prox[alive].min()), self.component(alive, q)
 
-    def expand(self, q: int, alpha: float, *, least: float | None = None, prune: bool = True, stop: bool = True) -> tuple[np.ndarray, np.ndarray, dict]:
-        """Members (a mask), lower bounds and facts of the expansion by levels."""
+    def _joins(self, members: np.ndarray, qs: np.ndarray) -> bool:
+        """One component of the members has all of a set."""
+        return bool(members[qs].all()) and (len(qs) == 1 or bool(np.isin(qs, self.component(members, int(qs[0]))).all()))
+
+    def expand(self, q: int | np.ndarray, alpha: float, *, least: float | None = None, prune: bool = True, stop: bool = True, union: bool = False) -> tuple[np.ndarray, np.ndarray, dict]:
+        """Members (a mask), lower bounds and facts of the expansion by levels; from a set of vertices, alike or (union) by their arcs."""
         least = 1 / self.m if least is None else least
-        residue = np.where(self.arc_src == q, 1.0 / np.count_nonzero(self.arc_src == q), 0.0)
+        qs = np.atleast_1d(q)
+        out = np.bincount(self.arc_src, minlength=self.n)
+        start = np.zeros(self.n)
+        start[qs] = 1.0 / out[qs].sum() if union else 1.0 / (out[qs] * len(qs))
+        residue = start[self.arc_src]
         lower, members, visited, active = np.zeros(self.n), np.zeros(self.n, bool), np.zeros(self.n, bool), np.zeros(self.n, bool)
-        visited[q] = True
-        queue, beta, left, reason = np.array([q]), 0.0, 1.0, "exhausted"
+        visited[qs] = True
+        queue, beta, left, reason, whole = qs, 0.0, 1.0, "exhausted", len(qs) == 1
         while len(queue):
             members[queue] = True
             active[:] = False
@@ -182,7 +194,8 @@ class Arrays:
             residue += flow[self.arc_from]
             left = float(residue.sum())
             inside = np.bincount(self.x, (lower * members)[self.y], self.n)
-            beta = max(beta, float(inside[members].min()))
+            whole = whole or self._joins(members, qs)
+            beta = max(beta, float(inside[members].min())) if whole else beta
             near = self.y[self._edges_of(queue)]
             fresh = np.unique(near[~visited[near]])
             visited[fresh] = True
@@ -193,11 +206,11 @@ class Arrays:
                 break
         return members, lower, {"residue": left, "expanded": int(members.sum()), "visited": int(visited.sum()), "reason": reason}
 
-    def shrink(self, members: np.ndarray, lower: np.ndarray, residue: float, q: int, *, most: float = 1e12, anchor: str = "max") -> tuple[float, np.ndarray]:
-        """The certified ratio and its community: the ratio is halved while q survives."""
-        alive = members
+    def shrink(self, members: np.ndarray, lower: np.ndarray, residue: float, q: int | np.ndarray, *, most: float = 1e12, anchor: str = "max") -> tuple[float, np.ndarray]:
+        """The certified ratio and its community: the ratio is halved while q survives, or one component holds all of a set."""
+        alive, qs = members, np.atleast_1d(q)
         rho = np.bincount(self.x, (lower * alive)[self.y], self.n)
-        target = float(rho[alive].max() if anchor == "max" else rho[q]) + residue
+        target = float(rho[alive].max() if anchor == "max" else rho[qs].min()) + residue
         low = float(rho[alive].min())
         eps = target / low if low > 0 else math.inf
         ratio = min(eps, most)
@@ -206,13 +219,13 @@ class Arrays:
             now = alive
             while True:
                 kept = now & (ratio * np.bincount(self.x, (lower * now)[self.y], self.n) >= target * (1 - 1e-12))
-                if not kept[q] or kept.sum() == now.sum():
+                if not kept[qs].all() or kept.sum() == now.sum():
                     break
                 now = kept
-            if not kept[q]:
+            if not self._joins(kept, qs):
                 break
             eps, alive, ratio = ratio, now, ratio / 2
-        return eps, self.component(alive, q)
+        return eps, self.component(alive, int(qs[0]))
 
 
 _held: dict[object, Arrays] = {}
@@ -300,6 +313,21 @@ def local(g: TemporalGraph, queries: DataFrame | Iterable[int], alpha: float, *,
     return answer(g, queries, decay, "q bigint, v bigint, eps double, residue double, expanded bigint, visited bigint, reason string", block)
 
 
+def local_multi(g: TemporalGraph, queries: list[int], alpha: float, *, decay: Decay, prune: bool, stop: bool, anchor: str, union: bool) -> DataFrame:
+    """v, eps, residue, expanded, visited, reason for a set of query vertices, in one task."""
+
+    def block(a: Arrays, _: list[int]) -> Iterator[dict]:
+        qs = [a.at(q) for q in queries]
+        if None not in qs:
+            own = np.array(qs)
+            members, lower, facts = a.expand(own, alpha, prune=prune, stop=stop, union=union)
+            if a._joins(members, own):
+                eps, found = a.shrink(members, lower, facts["residue"], own, anchor=anchor)
+                yield {"v": a.ids[found], "eps": eps, **facts}
+
+    return answer(g, queries[:1], decay, "v bigint, eps double, residue double, expanded bigint, visited bigint, reason string", block)
+
+
 def core(g: TemporalGraph, queries: DataFrame | Iterable[int], *, temporal: bool) -> DataFrame:
     """q, v, k."""
 

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from proxcore.cores import biased_degree, core_numbers
+from proxcore.graph import TemporalGraph
 from proxcore.kernels import Adjacency, Edge, adjacency, smallest
 
 Objective = Callable[[list[Edge], frozenset[int]], float]
@@ -91,6 +92,41 @@ def drifted(f: Objective, edges: list[Edge], weight: dict[int, float], optimum:
     return extra if extra and worse and free_rider(f, edges, optimum, found) else set()
 
 
+def _inner_density(g: TemporalGraph, members: DataFrame, name: str) -> DataFrame:
+    near = members.select("q", F.col("v").alias("u")).join(g.edges, "u").join(members.select("q", "v"), ["q", "v"], "left_semi")
+    inner = near.groupBy("q").agg(F.count("*").alias("m"), F.count_distinct("t").alias("times"))
+    sized = members.groupBy("q").agg(F.count_distinct("v").alias("n")).join(inner, "q", "left")
+    return sized.select("q", F.coalesce(F.expr("try_divide(m * 1.0D, n * times)"), F.lit(0.0)).alias(name))
+
+
+def burst_densities(g: TemporalGraph, members: DataFrame) -> DataFrame:
+    """q, density: burst_density of each query's set (q, v), as a table."""
+    return _inner_density(g, members, "density")
+
+
+def interval_degrees(g: TemporalGraph, members: DataFrame, start: int, end: int) -> DataFrame:
+    """q, degree: the smallest degree among members of pairs that meet at every time of [start, end]."""
+    pairs = g.slice(start, end + 1).edges.groupBy("u", "v").agg(F.count_distinct("t").alias("n")).where(F.col("n") == end - start + 1)
+    both = pairs.select(F.explode(F.array(F.struct(F.col("u").alias("v"), F.col("v").alias("nbr")), F.struct(F.col("v"), F.col("u").alias("nbr")))).alias("e")).select("e.v", "e.nbr")
+    degree = members.select("q", "v").join(both, "v").join(members.select("q", F.col("v").alias("nbr")), ["q", "nbr"]).groupBy("q", "v").agg(F.count("*").alias("d"))
+    return members.select("q", "v").join(degree, ["q", "v"], "left").groupBy("q").agg(F.min(F.coalesce("d", F.lit(0))).alias("degree"))
+
+
+def free_riders(g: TemporalGraph, optimum: DataFrame, found: DataFrame) -> DataFrame:
+    """q, rides: uniting a community (q, v) with an optimum (q, v) of the burst density doesn't lower it."""
+    union = found.select("q", "v").unionByName(optimum.select("q", "v")).distinct()
+    return _inner_density(g, union, "both").join(_inner_density(g, found, "own"), "q").select("q", (F.col("both") >= F.col("own")).alias("rides"))
+
+
+def drifted_members(g: TemporalGraph, static: DataFrame, weights: DataFrame, optimum: DataFrame, found: DataFrame) -> DataFrame:
+    """q, v: the optimum's members beyond the community where they ride free and don't raise the smallest biased degree."""
+    union = found.select("q", "v").unionByName(optimum.select("q", "v")).distinct()
+    least = lambda s, name: biased_degree(static, weights, s).groupBy("q").agg(F.min("rho").alias(name))
+    worse = least(union, "both").join(least(found.select("q", "v"), "own"), "q").where("both <= own").select("q")
+    bad = free_riders(g, optimum, found).where("rides").select("q").join(worse, "q", "left_semi")
+    return optimum.select("q", "v").distinct().join(found.select("q", "v"), ["q", "v"], "left_anti").join(bad, "q", "left_semi")
+
+
 def drift_report(static: DataFrame, weights: DataFrame, members: DataFrame) -> DataFrame:
     """q, size, drifted, share: members whose core number is below the query's, the part of a community that drifted."""
     cores = core_numbers(static, weights)

@@ -45,6 +45,20 @@ def communities_by_graph(edges: DataFrame, queries: DataFrame, alpha: float = 0.
     return edges.groupBy("graph").cogroup(queries.groupBy("graph")).applyInPandas(run, "graph bigint, q bigint, v bigint, beta double")
 
 
+def proximity_by_graph(edges: DataFrame, queries: DataFrame, alpha: float = 0.2, method: str = "stream") -> DataFrame:
+    """graph, q, v, prox by the sequential methods: one pass over the edge stream, or the dense linear system (which holds all
+    pairs of arcs), for many small graphs at a time: edges (graph, u, v, t), queries (graph, q); a task for each query."""
+
+    def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        graph, q = int(key[0]), int(key[1])
+        walks = kernels.Walks(zip(pdf["u"].tolist(), pdf["v"].tolist(), pdf["t"].tolist(), strict=True))
+        scores = walks.stream(q, alpha) if method == "stream" else walks.dense(q, alpha)
+        return pd.DataFrame([(graph, q, v, float(x)) for v, x in sorted(scores.items()) if x], columns=["graph", "q", "v", "prox"])
+
+    spread = edges.join(queries.select("graph", "q").distinct(), "graph").select("graph", "q", "u", "v", "t")
+    return spread.groupBy("graph", "q").applyInPandas(run, "graph bigint, q bigint, v bigint, prox double")
+
+
 @F.udtf(returnType=T.StructType([T.StructField(c, T.LongType()) for c in ("v", "t", "wait")]))
 class LaterNeighbours:
     """later_neighbours(since => 3, row => TABLE(arcs) PARTITION BY src ORDER BY t): those a walk that arrives at `since` may go to."""

@@ -78,7 +78,7 @@ def expand_levels(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, dec
     least = 1 / max(1, g.edges.count()) if least is None else least
     residue = settle(seeds(g, query_table(spark, queries)).withColumnRenamed("mass", "r") if together is None else together)
     queue = settle(residue.select("q", F.col("src").alias("v")).distinct())
-    wanted, whole = queue, queue.select("q").distinct()
+    wanted, whole, joined = queue, queue.select("q").distinct(), False
     members, seen = queue.where("false"), Growing(queue)
     lower = queue.withColumn("low", F.lit(0.0)).where("false")
     facts = settle(whole.select("q", F.lit(1.0).alias("residue"), F.lit(0.0).alias("beta"), F.lit(0).alias("levels"), F.lit("exhausted").alias("reason")))
@@ -88,8 +88,9 @@ def expand_levels(g: TemporalGraph, queries: Queries, alpha: float = 0.2, *, dec
         members = settle(members.unionByName(queue))
         residue, banked = push(residue, queue, g, states, alpha, decay, least)
         lower = settle(lower.unionByName(banked).groupBy("q", "v").agg(F.sum("low").alias("low")))
-        if together is not None:
+        if together is not None and not joined:
             whole = settle(_holding(static, members, wanted))
+            joined = whole.count() == wanted.select("q").distinct().count()  # members only grow
         best = _lower_degree(static, members.join(queue.select("q").distinct(), "q", "left_semi"), lower).groupBy("q").agg(F.min("low").alias("now"))
         best = best.join(whole.withColumn("valid", F.lit(True)), "q", "left").select("q", F.when(F.col("valid"), F.col("now")).otherwise(0.0).alias("now"))
         left = residue.groupBy("q").agg(F.sum("r").alias("left"))
@@ -184,11 +185,14 @@ def _by_task(g: TemporalGraph, queries: Queries, alpha: float, decay: Decay, pru
     return spread.groupBy("q").applyInPandas(run, "q bigint, v bigint, eps double, residue double, expanded bigint, visited bigint, reason string")
 
 
-def local_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float = 0.2, *, start: str = "mean", decay: Decay = "reciprocal", prune: bool = True, stop: bool = True, anchor: str = "max") -> DataFrame:
+def local_community_multi(g: TemporalGraph, queries: Iterable[int], alpha: float = 0.2, *, start: str = "mean", decay: Decay = "reciprocal", prune: bool = True, stop: bool = True, anchor: str = "max", method: str = "auto") -> DataFrame:
     """v, eps, residue, expanded, visited, reason for a set of query vertices: one expansion from all of them with the bounds of
     the mixed walk, and a ratio that falls as long as one component holds the set. start="mean" weighs queries alike, as
-    the exact method's mean does; "union" by their out-degrees. No rows where a query has no edge or no component has all."""
+    the exact method's mean does; "union" by their out-degrees. No rows where a query has no edge or no component has all.
+    method: levels, task, or auto, as in local_community."""
     wanted = sorted(set(queries))
+    if method == "task" or method == "auto" and compact.ship(g) is not None:
+        return compact.local_multi(g, wanted, alpha, decay=decay, prune=prune, stop=stop, anchor=anchor, union=start == "union")
     spark = g.edges.sparkSession
     g = g.settled()
     q = query_table(spark, wanted)

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -75,6 +75,25 @@ def expanded_share(g: TemporalGraph, found: DataFrame) -> DataFrame:
     return found.select("q", "expanded").distinct().crossJoin(F.broadcast(n)).select("q", (F.col("expanded") / F.col("n")).alias("share"))
 
 
+def array_bytes(g: TemporalGraph, queries: DataFrame, alpha: float = 0.2) -> DataFrame:
+    """method, bytes, largest: bytes that the array path holds in a task, from the arrays themselves: the graph's, and what the exact
+    and the local method add for one query at a time (mean and largest over queries)."""
+    from proxcore import compact
+
+    def block(a: compact.Arrays, qs: list[int]) -> Iterator[dict]:
+        graph = a.nbytes()
+        for q in qs:
+            scores = a.proximity([q], alpha)
+            members, lower, _ = a.expand(q, alpha)
+            # states and vertices of the walk, and members with their bounds and the residues of arcs
+            exact = scores.nbytes + 8 * len(a.state_v) + 8 * a.n
+            local = members.nbytes + lower.nbytes + 8 * len(a.arc_src)
+            yield {"method": ["graph", "exact", "local"], "bytes": [graph, graph + exact, graph + local]}
+
+    rows = compact.answer(g, queries, "reciprocal", "method string, bytes bigint", block)
+    return rows.groupBy("method").agg(F.avg("bytes").cast("bigint").alias("bytes"), F.max("bytes").alias("largest"))
+
+
 def memory_report(g: TemporalGraph, **tables: DataFrame) -> DataFrame:
     """name, n_rows, bytes: rows and eight bytes for each number, of the graph and of a method's tables."""
     parts = {"graph": g.edges, **tables}

@@ -47,9 +47,11 @@ def open_store(spark: SparkSession, path: str, slab: int, since: int | None = No
     return TemporalGraph(rows.select("u", "v", "t"))
 
 
-def store_arcs(g: TemporalGraph, name: str, buckets: int) -> None:
-    """Arcs as a table bucketed by source: joins on src need no shuffle of it, and a lookup reads one bucket."""
-    g.arcs.repartition(buckets, "src").write.bucketBy(buckets, "src").sortBy("src", "t").mode("overwrite").saveAsTable(name)
+def store_arcs(g: TemporalGraph, name: str, buckets: int, path: str | None = None) -> None:
+    """Arcs as a table bucketed by source, in the warehouse or at a path: joins on src need no shuffle of it, and a lookup reads
+    one bucket."""
+    writer = g.arcs.repartition(buckets, "src").write.bucketBy(buckets, "src").sortBy("src", "t").mode("overwrite")
+    (writer if path is None else writer.option("path", path)).saveAsTable(name)
 
 
 def arcs_of(spark: SparkSession, name: str, sources: DataFrame) -> DataFrame:

@@ -75,6 +75,11 @@ def drain(df: DataFrame, name: str, mode: str = "append", checkpoint: str | None
     return df.sparkSession.table(name)
 
 
+def land(df: DataFrame, path: str, checkpoint: str) -> None:
+    """All that is available, appended to Parquet files; a later call goes on where the checkpoint ends."""
+    df.writeStream.format("parquet").option("checkpointLocation", checkpoint).outputMode("append").trigger(availableNow=True).start(path).awaitTermination()
+
+
 def follow(events: DataFrame, queries: Iterable[int], store: str, checkpoint: str, sink: Callable[[DataFrame, int], None], *, seconds: int = 600) -> StreamingQuery:
     """A continuous query: each batch is added to the store (once, by batch number), and the registered queries' communities are
     found anew over the edges of all batches and given to the sink."""

@@ -122,7 +122,8 @@ def test_local_levels_hold_their_certificate(spark):
         assert q in members and got <= beta + 1e-9 and (eps == math.inf or beta <= eps * got + 1e-9)
     tasks = local.local_community(g, qs, method="queue").collect()
     assert {r["q"] for r in tasks} == set(qs)
-    both = local.local_community_multi(g, qs).collect()
+    both = local.local_community_multi(g, qs, method="levels").collect()
+    assert {r["v"]: round(r["eps"], 9) for r in both} == {r["v"]: round(r["eps"], 9) for r in local.local_community_multi(g, qs, method="task").collect()}
     assert not both or set(qs) <= {r["v"] for r in both}
 
 
@@ -249,3 +250,33 @@ def test_samples_and_coarsening(spark):
     assert 0 < g.sample(50, "edge").edges.count() < 120 and g.coarsen(60).edges.select("t").distinct().count() == 1
     assert g.slice(10, 20).edges.where("t < 10 or t >= 20").count() == 0
     assert isinstance(g.stream_order().first()["t"], int) and isinstance(g, TemporalGraph)
+
+
+def test_periodic_cliques_are_brute_force(spark):
+    edges = random_edges(91, 8, 60, 7)
+    g, have = graph(spark, edges).settled(), set(edges)
+    names = sorted({x for e in edges for x in e[:2]})
+    times = sorted({t for _, _, t in edges})
+    for q in names[:3]:
+        best = (0, 0, 0, ())
+        for start in times:
+            for period in range(1, 4):
+                meets = lambda u, v, a=start, p=period: all((u, v, a + k * p) in have for k in range(3))
+                for n in range(2, len(names) + 1):
+                    for s in combinations(names, n):
+                        if q in s and all(meets(u, v) for u, v in combinations(s, 2)):
+                            best = max(best, (n, -start, -period, tuple(-x for x in s)))
+        rows = heuristics.periodic_clique(g, [q], 3, 2).collect()
+        want = set() if not best[0] else {(-x, -best[1], -best[2]) for x in best[3]}
+        assert {(r["v"], r["start"], r["period"]) for r in rows} == want
+
+
+def test_a_tree_joins_the_queries_of_the_temporal_searches(spark):
+    g = graph(spark, [*BASIC, (5, 6, 6), (6, 7, 7), (20, 21, 1)]).settled()
+    tree = {r["v"] for r in heuristics.query_tree(g.static, [1, 7]).collect()}
+    assert tree == {1, 3, 5, 6, 7} and heuristics.query_tree(g.static, [1, 20]) is None
+    assert {1, 7} <= {r["v"] for r in heuristics.inefficiency_community_multi(g, [1, 7]).collect()}
+    assert heuristics.inefficiency_community_multi(g, [1, 20]).count() == 0
+    clique = graph(spark, [(u, v, 1) for u, v in combinations(range(1, 5), 2)] + [(4, 5, 1)])
+    assert {(r["v"], r["k"]) for r in temporal.interval_core_multi(clique, [1, 3], (1, 1)).collect()} == {(v, 3) for v in range(1, 5)}
+    assert {(r["v"], r["k"]) for r in temporal.interval_core_multi(clique, [1, 5], (1, 1)).collect()} == {(v, 1) for v in range(1, 6)}
