@@ -206,14 +206,14 @@ class Arrays:
                 break
         return members, lower, {"residue": left, "expanded": int(members.sum()), "visited": int(visited.sum()), "reason": reason}
 
-    def shrink(self, members: np.ndarray, lower: np.ndarray, residue: float, q: int | np.ndarray, *, most: float = 1e12, anchor: str = "max") -> tuple[float, np.ndarray]:
+    def shrink(self, members: np.ndarray, lower: np.ndarray, residue: float, q: int | np.ndarray, *, anchor: str = "max") -> tuple[float, np.ndarray]:
         """The certified ratio and its community: the ratio is halved while q survives, or one component holds all of a set."""
         alive, qs = members, np.atleast_1d(q)
         rho = np.bincount(self.x, (lower * alive)[self.y], self.n)
         target = float(rho[alive].max() if anchor == "max" else rho[qs].min()) + residue
         low = float(rho[alive].min())
         eps = target / low if low > 0 else math.inf
-        ratio = min(eps, most)
+        ratio = target / rho[alive & (rho > 0)].min() if (alive & (rho > 0)).any() else 0.0  # a larger one removes the same vertices
         while ratio >= 1:
             # sums afresh in each round, so that they don't drift
             now = alive

@@ -214,16 +214,17 @@ def expand(walks: Walks, q: int, alpha: float = 0.2, *, least: float | None = No
     return {"members": set(rho), "residue": max(0.0, left), "lower": dict(lower), "beta": beta, "visited": visited, "reason": reason}
 
 
-def shrink(adj: Adjacency, members: set[int], lower: dict[int, float], residue: float, q: int, *, most: float = 1e12, anchor: str = "max") -> tuple[float, set[int]]:
-    """Halves the ratio while the query survives the removal of vertices that can't be in a community of that ratio."""
+def shrink(adj: Adjacency, members: set[int], lower: dict[int, float], residue: float, q: int, *, anchor: str = "max") -> tuple[float, set[int]]:
+    """Halves the ratio while the query survives the removal of vertices that can't be in a community of that ratio. Where a
+    bound is zero the first ratio is the one of the least positive bound: any larger one removes the same vertices."""
     rho = {v: sum(lower.get(w, 0.0) for w in adj[v] & members) for v in members}
     target = (max(rho.values()) if anchor == "max" else rho[q]) + residue
     low = min(rho.values())
     best: tuple[float, set[int]] = (target / low if low > 0 else math.inf, set(members))
-    ratio, alive = min(best[0], most), set(members)
+    ratio, alive = target / min((x for x in rho.values() if x > 0), default=math.inf), set(members)
     while True:
         now, degree = set(alive), {v: sum(lower.get(w, 0.0) for w in adj[v] & alive) for v in alive}
-        gone = [v for v in now if ratio * degree[v] < target]
+        gone = [v for v in now if ratio * degree[v] < target * (1 - 1e-12)]
         queued = set(gone)
         while gone and q not in queued:
             v = gone.pop()

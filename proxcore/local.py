@@ -114,14 +114,14 @@ def rho_bounds(static: DataFrame, members: DataFrame, lower: DataFrame, facts: D
     return _lower_degree(static, members, lower).join(facts.select("q", "residue"), "q").select("q", "v", "low", (F.col("low") + F.col("residue")).alias("high"))
 
 
-def shrink_levels(static: DataFrame, members: DataFrame, lower: DataFrame, facts: DataFrame, *, most: float = 1e12, anchor: str = "max", wanted: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+def shrink_levels(static: DataFrame, members: DataFrame, lower: DataFrame, facts: DataFrame, *, anchor: str = "max", wanted: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
     """eps (q, eps) and community (q, v): the ratio is halved while the query survives the removal in bulk of vertices whose
     bound times the ratio stays below the target. With wanted (q, v), while one component of what is left holds all of a set."""
     static, alive = settle(static), settle(members)
     rho = _lower_degree(static, alive, lower)
-    top = rho.groupBy("q").agg(F.max("low").alias("top"), F.min("low").alias("bottom"), F.max(F.when(F.col("v") == F.col("q"), F.col("low"))).alias("own"))
-    goal = settle(top.join(facts.select("q", "residue"), "q").select("q", (F.col("top" if anchor == "max" else "own") + F.col("residue")).alias("target"), "bottom"))
-    goal = settle(goal.withColumn("eps", F.when(F.col("bottom") > 0, F.col("target") / F.col("bottom")).otherwise(F.lit(math.inf))).withColumn("ratio", F.least("eps", F.lit(most))).drop("bottom"))
+    top = rho.groupBy("q").agg(F.max("low").alias("top"), F.min("low").alias("bottom"), F.min(F.when(F.col("low") > 0, F.col("low"))).alias("least"), F.max(F.when(F.col("v") == F.col("q"), F.col("low"))).alias("own"))
+    goal = settle(top.join(facts.select("q", "residue"), "q").select("q", (F.col("top" if anchor == "max" else "own") + F.col("residue")).alias("target"), "bottom", "least"))
+    goal = settle(goal.withColumn("eps", F.when(F.col("bottom") > 0, F.col("target") / F.col("bottom")).otherwise(F.lit(math.inf))).withColumn("ratio", F.coalesce(F.col("target") / F.col("least"), F.lit(0.0))).drop("bottom", "least"))  # a larger ratio removes the same vertices
     while goal.where("ratio >= 1").limit(1).count():
         now = settle(alive.join(goal.where("ratio >= 1").select("q"), "q", "left_semi"))
         while True:
