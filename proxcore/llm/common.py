@@ -8,6 +8,7 @@ from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_type
 
@@ -41,6 +42,28 @@ def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def hot_keys(df: DataFrame, key: str, share: int = 4) -> DataFrame:
+    """key, salts for keys that hold over 1 / (share * partitions) of the rows, so at most share * partitions of them: small
+    enough to broadcast at any size. salts says over how many parts such a key's rows should be dealt."""
+    n = partitions(df.sparkSession)
+    sizes = keep(df.where(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("n")))
+    total = sizes.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("total"))
+    bound = F.greatest(F.lit(64.0), F.col("total") / (share * n))
+    return sizes.crossJoin(F.broadcast(total)).where(F.col("n") > bound).select(key, F.ceil(F.col("n") / bound).cast("int").alias("salts"))  # a single row
+
+
+def spread_join(left: DataFrame, right: DataFrame, key: str, other: str, how: str = "inner") -> DataFrame:
+    """left joined with right on left.key = right.other; the rows of hot left keys are dealt over several parts, and right rows of
+    these keys repeated as often. Neither side may have the columns __salt or __salts."""
+    by = [F.col(c) for c, kind in left.dtypes if "map<" not in kind]  # salts follow from rows and parts, so a task that runs again deals alike
+    hot = keep(hot_keys(left, key)).withColumnsRenamed({key: "__hot", "salts": "__salts"})
+    a = left.join(F.broadcast(hot), F.col(key) == F.col("__hot"), "left")
+    a = a.withColumn("__salt", F.when(F.col("__salts").isNull(), 0).otherwise(F.pmod(F.xxhash64(*by) + F.spark_partition_id(), F.col("__salts")).cast("int"))).drop("__hot", "__salts")
+    b = right.join(F.broadcast(hot), F.col(other) == F.col("__hot"), "left")
+    b = b.withColumn("__of", F.explode(F.sequence(F.lit(0), F.coalesce(F.col("__salts"), F.lit(1)) - 1))).drop("__hot", "__salts")
+    return a.join(b, (F.col(key) == F.col(other)) & (F.col("__salt") == F.col("__of")), how).drop("__salt", "__of")
+
+
 def with_struct(df: DataFrame, text: str, out: str, kind: T.StructType, make: Callable[[Iterator[str | None]], list[dict]]) -> DataFrame:
     """Appends the struct column `out`, which make() derives from a batch's texts; a column of that name is replaced.
     All else passes through, so repeated rows, null ids and extra columns stay as they are."""

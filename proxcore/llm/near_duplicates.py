@@ -1,10 +1,12 @@
 """Near-duplicate classes by consistent weighted sampling over TF-IDF shingles, banded, verified by weighted Jaccard.
 
 A text's vector has one weight for each of its runs of five words: occurrences times an inverse document frequency,
-log(1 + min(N / df, SATURATED)) scaled to one at saturation. So a shingle counts less only where an eighth of all
-documents or more have it, and the shingles that do are few at any size: at most SATURATED times the mean number of
-shingles in a document. Their frequencies are found in one pass by lossy counting: a part of the documents reports the
-shingles that 1/64 of its documents have, so a frequency is short by 1/64 of N at most.
+log(1 + N / df) to the power DAMPING. Document frequencies come from all documents: each part of them counts its shingles in a
+table of CELLS cells, the tables are added up in two rounds, and what other shingles add to a cell on average is taken off. So
+the frequencies have one fixed size at any size of the corpus, and an error of about the mean number of shingles in a
+document over CELLS, as a share of the documents: shingles rarer than that (one document in some ten thousand) weigh
+alike, the rest by their frequency. The power keeps passages of large clusters from weighing almost nothing beside a changed
+word: with plain logarithms a text loses its cluster by one edit once a third of the documents are in it.
 
 Samples are drawn by improved consistent weighted sampling in the logarithmic domain: for each shingle and hash a pair of
 Gamma(2, 1) draws and a uniform one follow from the hashed shingle; the least score of a text is its sample, equal for two
@@ -22,20 +24,23 @@ document, whose text is the one with the least digest.
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from proxcore.llm.common import keep
+from proxcore.llm.common import keep, partitions, spread_join
 from proxcore.llm.components import components
 from proxcore.llm.decontaminate import folded
+from proxcore.llm.ngram_lm import dump, load, tight
 
-WIDTH, LEAST, SATURATED, ERROR = 5, 0.8, 8, 64
+WIDTH, LEAST, DAMPING = 5, 0.8, 0.5
+#: Cells of the document frequencies and of one message of them.
+CELLS, CHUNK = 1 << 22, 1 << 16
 BANDS, ROWS, HUBS_MORE = 16, 4, 8
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 _SHIFT = np.uint64(32)
@@ -76,25 +81,19 @@ _LOG_GAMMA = np.log(_GAMMA)
 
 
 class Weights:
-    """Inverse document frequencies; 1 for shingles that aren't frequent."""
+    """Inverse document frequencies by cell; cells may be fewer than CELLS, for tests."""
 
-    def __init__(self, frequent: dict[int, float]):
-        self.keys = np.array(sorted(frequent), np.uint64)
-        self.idf = np.array([frequent[int(k)] for k in self.keys])
+    def __init__(self, cells: np.ndarray, documents: int, damping: float = DAMPING):
+        self.size = np.uint64(len(cells))
+        counts = cells.astype(np.float64)
+        noise = (counts.sum() - counts) / max(1, len(cells) - 1)
+        df = np.clip(counts - noise, 1.0, max(1, documents))
+        self.idf = (np.log1p(max(1, documents) / df) ** damping).astype(np.float32)
 
     def vector(self, text: str | None) -> tuple[np.ndarray, np.ndarray]:
         """Sorted shingles and their weights."""
         keys, counts = np.unique(shingles(text), return_counts=True)
-        weight = counts.astype(np.float64)
-        if len(self.keys) and len(keys):
-            at = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
-            weight *= np.where(self.keys[at] == keys, self.idf[at], 1.0)
-        return keys, weight
-
-
-def idf(share: float) -> float:
-    """Of a shingle that this share of the documents has."""
-    return math.log1p(min(1 / share, SATURATED)) / math.log1p(SATURATED)
+        return keys, counts * self.idf[(keys % self.size).astype(np.int64)].astype(np.float64)
 
 
 def samples(vectors: list[tuple[np.ndarray, np.ndarray]], n: int = BANDS * ROWS) -> np.ndarray:
@@ -142,37 +141,61 @@ def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray
     return float(both / total) if total else 0.0
 
 
-def _local_frequencies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """key, docs: shingles that at least 1 / ERROR of a part's documents have; a null key with the number of documents."""
-    keys, counts, fresh, weights, held, total = np.empty(0, np.uint64), np.empty(0, np.int64), [], [], 0, 0
+def _count_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """chunk, part, cells, docs: in how many of a part's documents a shingle of each cell is; one row has the number of documents."""
+    cells, held, size, docs = np.zeros(CELLS, np.uint32), [], 0, 0
+    part = TaskContext.get().partitionId()
 
-    def merge() -> None:
-        nonlocal keys, counts, fresh, weights, held
-        at, inverse = np.unique(np.concatenate([keys, *fresh]), return_inverse=True)
-        sums = np.bincount(inverse, np.concatenate([counts, *weights])).astype(np.int64)
-        keep_these = sums * ERROR >= total
-        keys, counts, fresh, weights, held = at[keep_these], sums[keep_these], [], [], 0
+    def add() -> None:
+        nonlocal held, size
+        at, n = np.unique(np.concatenate(held), return_counts=True)
+        cells[at.astype(np.int64)] += n.astype(np.uint32)
+        held, size = [], 0
 
     for batch in batches:
-        for text, n in zip(batch.column("text"), batch.column("n").to_pylist(), strict=True):
-            s = np.unique(shingles(text.as_py()))
-            fresh.append(s)
-            weights.append(np.full(len(s), n, np.int64))
-            held, total = held + len(s), total + n
-            if held > 500_000:
-                merge()
-    merge()
-    yield pa.RecordBatch.from_arrays([pa.array([None, *keys.view(np.int64).tolist()], pa.int64()), pa.array([total, *counts.tolist()], pa.int64())], ["key", "docs"])
-
-
-def weights(texts: DataFrame) -> Weights:
-    """From a table of text and n, the number of documents that have it."""
-    sums = texts.select("text", "n").mapInArrow(_local_frequencies, "key bigint, docs bigint").groupBy("key").agg(F.sum("docs").alias("docs"))
-    rows = keep(sums)
-    total = rows.where("key is null").agg(F.sum("docs").alias("n")).first()["n"] or 0
-    # at most SATURATED times the mean number of shingles in a document
-    found = rows.where(F.col("key").isNotNull() & (F.col("docs") * SATURATED > F.lit(total))).collect() if total else []
-    return Weights({int(r["key"]) & (1 << 64) - 1: idf(r["docs"] / total) for r in found})
+        for text in batch.column("text"):
+            held.append(np.unique(shingles(text.as_py())) % np.uint64(CELLS))
+            size += len(held[-1])
+            docs += 1
+            if size > 1_000_000:
+                add()
+    if held:
+        add()
+    if docs:
+        yield _cell_rows({k: cells[k * CHUNK : (k + 1) * CHUNK] for k in range(CELLS // CHUNK) if cells[k * CHUNK : (k + 1) * CHUNK].any()}, part, docs)
+
+
+def _cell_rows(chunks: dict[int, np.ndarray], part: int, docs: int) -> pa.RecordBatch:
+    rows = [(k, part, dump(tight(x)), 0) for k, x in sorted(chunks.items())] + [(-1, part, None, docs)]
+    return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.binary()), pa.array([r[3] for r in rows], pa.int64())], ["chunk", "part", "cells", "docs"])
+
+
+def _add_cells(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The same with all rows of a chunk that a task meets as one; holds CELLS cells at most."""
+    chunks: dict[int, np.ndarray] = {}
+    docs, part = 0, TaskContext.get().partitionId()
+    for batch in batches:
+        for k, cells, n in zip(batch.column("chunk").to_pylist(), batch.column("cells"), batch.column("docs").to_pylist(), strict=True):
+            docs += n
+            if k >= 0:
+                fresh = load(cells.as_py())[0].astype(np.uint64)
+                chunks[k] = chunks[k] + fresh if k in chunks else fresh
+    if chunks or docs:
+        yield _cell_rows(chunks, part, docs)
+
+
+def weights(texts: DataFrame, damping: float = DAMPING) -> Weights:
+    """From a table of texts, one row for each document."""
+    kind, n = "chunk int, part int, cells binary, docs bigint", partitions(texts.sparkSession)
+    rows = texts.select("text").mapInArrow(_count_cells, kind)
+    for by in ([F.col("chunk"), F.pmod("part", F.lit(n))], [F.col("chunk")]):
+        rows = rows.repartition(n, *by).mapInArrow(_add_cells, kind)
+    cells, docs = np.zeros(CELLS, np.uint64), 0
+    for r in keep(rows).toLocalIterator():  # CELLS cells, whatever the size of the table
+        docs += r["docs"]
+        if r["chunk"] >= 0:
+            cells[r["chunk"] * CHUNK : (r["chunk"] + 1) * CHUNK] += load(bytes(r["cells"]))[0].astype(np.uint64)
+    return Weights(cells, docs, damping)
 
 
 def _buckets(keys: DataFrame) -> DataFrame:
@@ -236,11 +259,11 @@ def _roots(buckets: DataFrame, texts: DataFrame, sent, least: float) -> DataFram
         width *= HUBS_MORE
 
 
-def classes(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", least: float = LEAST) -> DataFrame:
-    """doc_id, class_id (the least id of its class): one row for each document."""
+def _judged(docs: DataFrame, doc_id: str, text: str, least: float, damping: float) -> DataFrame:
+    """id, mark, class_id: one row for each document, with the digest of the text it was judged by."""
     spark = docs.sparkSession
     rows = docs.select(F.col(doc_id).cast("bigint").alias("id"), F.col(text).alias("text")).where("id is not null").withColumn("mark", F.md5(F.coalesce("text", F.lit(""))))
-    sent = spark.sparkContext.broadcast(weights(rows.select("text", F.lit(1).alias("n"))))
+    sent = spark.sparkContext.broadcast(weights(rows, damping))
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own: Weights = sent.value
@@ -256,25 +279,32 @@ def classes(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", leas
                 yield pa.RecordBatch.from_arrays([part.column("id"), part.column("mark"), pa.array(made, pa.list_(pa.int64()))], ["id", "mark", "keys"])
 
     signed = keep(rows.mapInArrow(sign, "id bigint, mark string, keys array<bigint>"))
-    ids = signed.groupBy("id").agg(F.min("mark").alias("mark"))
-    if signed.agg(F.count("*") - F.count_distinct("id")).first()[0]:
-        ids = keep(ids)
-        rows = rows.join(ids.select(F.col("id").alias("of"), F.col("mark").alias("least")), (F.col("id") == F.col("of")) & (F.col("mark") == F.col("least"))).dropDuplicates(["id"]).select("id", "text")
-    texts = rows.select("id", "text")
+    ids = keep(signed.groupBy("id").agg(F.min("mark").alias("mark")))
     reps = keep(ids.groupBy("mark").agg(F.min("id").alias("rep")))
-    keys = signed.where("keys is not null").join(reps.withColumnRenamed("mark", "of"), (F.col("id") == F.col("rep")) & (F.col("mark") == F.col("of"))).dropDuplicates(["id"]).select("id", "keys")
-    roots = _roots(_buckets(keys), texts, sent, least)
+    keys = signed.where("keys is not null").join(reps.withColumnRenamed("mark", "of"), (F.col("id") == F.col("rep")) & (F.col("mark") == F.col("of"))).groupBy("id").agg(F.first("keys").alias("keys"), F.first("mark").alias("mark"))
+    keys = keep(keys)
+    buckets = _buckets(keys)
+    # texts are shuffled once, and of the members of buckets alone; equal rows of an id are one
+    met = buckets.select(F.col("id").alias("of")).distinct().join(keys.select(F.col("id").alias("of"), F.col("mark").alias("its")), "of")
+    texts = keep(rows.join(met, (F.col("id") == F.col("of")) & (F.col("mark") == F.col("its"))).groupBy("id").agg(F.first("text").alias("text")))
+    roots = _roots(buckets, texts, sent, least)
     # equal texts with a word share their representative's class; wordless ones keep their own
     named_marks = reps.join(keys.select(F.col("id").alias("has")), F.col("rep") == F.col("has")).join(roots, F.col("rep") == F.col("node"), "left").select(F.col("mark").alias("of"), F.coalesce("root", "rep").alias("class_id"))
-    judged = ids.join(named_marks, F.col("mark") == F.col("of"), "left").select("id", F.coalesce("class_id", "id").alias("class_id"))
+    return spread_join(ids, named_marks, "mark", "of", "left").select("id", "mark", F.coalesce("class_id", "id").alias("class_id"))
+
+
+def classes(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", least: float = LEAST, damping: float = DAMPING) -> DataFrame:
+    """doc_id, class_id (the least id of its class): one row for each document."""
+    judged = _judged(docs, doc_id, text, least, damping).select("id", "class_id")
     if docs.where(F.col(doc_id).isNull()).limit(1).count():
         judged = judged.unionByName(docs.where(F.col(doc_id).isNull()).select(F.lit(None).cast("bigint").alias("id"), F.lit(None).cast("bigint").alias("class_id")))
     return judged.withColumnRenamed("id", doc_id) if doc_id != "class_id" else judged
 
 
-def drop_near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", least: float = LEAST) -> DataFrame:
-    """Of each class the document of the least id; of rows that repeat an id one; rows without an id stay."""
-    chosen = classes(docs, doc_id=doc_id, text=text, least=least).where(F.col(doc_id) == F.col("class_id")).select(F.col(doc_id).alias("__chosen"))
-    kept = docs.join(chosen, F.col(doc_id) == F.col("__chosen"), "left").where(F.col(doc_id).isNull() | F.col("__chosen").isNotNull()).drop("__chosen")
-    named = kept.where(F.col(doc_id).isNotNull()).dropDuplicates([doc_id])
-    return named.unionByName(kept.where(F.col(doc_id).isNull()))
+def drop_near_duplicates(docs: DataFrame, *, doc_id: str = "doc_id", text: str = "text", least: float = LEAST, damping: float = DAMPING) -> DataFrame:
+    """Of each class the document of the least id; of rows that repeat an id one, with the text that was judged; rows without an
+    id stay."""
+    chosen = _judged(docs, doc_id, text, least, damping).where("id = class_id").select(F.col("id").alias("__chosen"), F.col("mark").alias("__mark"))
+    same = (F.col(doc_id) == F.col("__chosen")) & (F.md5(F.coalesce(F.col(text), F.lit(""))) == F.col("__mark"))
+    named = docs.where(F.col(doc_id).isNotNull()).join(chosen, same).drop("__chosen", "__mark").dropDuplicates([doc_id])
+    return named.unionByName(docs.where(F.col(doc_id).isNull()))
