@@ -3,13 +3,16 @@ source the minimum-covariance-determinant estimate of centre and scatter is foun
 whose squared Mahalanobis distance is beyond a chi-square quantile are rejected, beside two fixed base rules.
 
 A concentration step is one aggregation: rows are binned by the logarithm of their distance, each bin holds its count,
-sums and cross products, and the bins that make up the share `cover` of a group give the next estimate. Steps end when no
-group's determinant falls any more, or after `most_steps`. Two last steps re-estimate from all rows within the 97.5 %
-quantile. All of it is SQL; a group's rows never meet in one task.
+sums and cross products, and the bins that make up the share `cover` of a group give the next estimate. The steps run from
+two starts, medians with quartile distances and the plain mean with the whole scatter; each keeps the estimate of the least
+determinant that it has met, and the better start counts. Steps end when no determinant falls any more, or after
+`most_steps`. Two last steps re-estimate from all rows within the 97.5 % quantile. All of it is SQL; a group's rows never
+meet in one task. The limit is the chi-square quantile that one good text in 1 / `beyond` passes, if texts are normal.
 
 Defined results: a null or wordless text has no words and fails the base rules; a null language or source is a group of
 its own; groups of fewer than `least_rows` texts that pass the base rules are pooled, by language and then altogether,
-and a pool that is still smaller rejects nothing; statistics that don't vary have the variance `FLOORS`; repeated rows
+and a pool that is still smaller rejects nothing; a statistic that varies less than its floor in `FLOORS` counts with the
+floor, one that varies more with its own variance; repeated rows
 count each time; on an empty table the result is empty.
 """
 
@@ -107,7 +110,7 @@ def _distance(prefix: str = "") -> Column:
 
 def _factor(groups: DataFrame, cov: dict[tuple[int, int], Column]) -> DataFrame:
     """grp, centre, root, log_det from a table with grp, centre; cov gives the scatter's lower triangle."""
-    out = groups.withColumns({f"c{i}_{j}": cov[i, j] + (FLOORS[FEATURES[i]] ** 2 if i == j else 0.0) for i in range(P) for j in range(i + 1)})
+    out = groups.withColumns({f"c{i}_{j}": F.greatest(cov[i, j], F.lit(FLOORS[FEATURES[i]] ** 2)) if i == j else cov[i, j] for i in range(P) for j in range(i + 1)})
     for i in range(P):
         for j in range(i + 1):
             rest = reduce(lambda s, k: s - F.col(f"l{i}_{k}") * F.col(f"l{j}_{k}"), range(j), F.col(f"c{i}_{j}"))  # noqa: B023
@@ -115,7 +118,18 @@ def _factor(groups: DataFrame, cov: dict[tuple[int, int], Column]) -> DataFrame:
     return out.select("grp", "centre", F.array(*[F.col(f"l{i}_{j}") for i in range(P) for j in range(i + 1)]).alias("root"), reduce(lambda s, i: s + 2 * F.log(f"l{i}_{i}"), range(P), F.lit(0.0)).alias("log_det"))
 
 
-def _start(rows: DataFrame) -> DataFrame:
+def _pairs() -> list[tuple[int, int]]:
+    return [(i, j) for i in range(P) for j in range(i + 1)]
+
+
+def _plain_start(rows: DataFrame) -> DataFrame:
+    """Means and the scatter of all rows."""
+    x = lambda i: F.get("x", F.lit(i))
+    groups = rows.groupBy("grp").agg(F.array(*[F.avg(x(i)) for i in range(P)]).alias("centre"), *[F.covar_pop(x(i), x(j)).alias(f"v{i}_{j}") for i, j in _pairs()])
+    return _factor(groups, {(i, j): F.col(f"v{i}_{j}") for i, j in _pairs()})
+
+
+def _robust_start(rows: DataFrame) -> DataFrame:
     """Medians and squared quartile distances."""
     q = [F.percentile_approx(F.get("x", F.lit(i)), [0.25, 0.5, 0.75], 1000).alias(f"q{i}") for i in range(P)]
     groups = rows.groupBy("grp").agg(*q).withColumn("centre", F.array(*[F.get(f"q{i}", F.lit(1)) for i in range(P)]))
@@ -143,6 +157,28 @@ def _step(rows: DataFrame, state: DataFrame, cover: float | None, within: float,
     return _factor(sums, cov)
 
 
+def _concentrated(rows: DataFrame, cover: float, scale: float, most_steps: int) -> DataFrame:
+    """grp, centre, root, log_det: of all estimates that the steps from both starts meet, a group's one of the least determinant.
+    Each start's own estimate isn't among them, for it doesn't come from the share `cover` of the rows."""
+    two = rows.select(F.explode(F.array(F.lit("0"), F.lit("1"))).alias("k"), "grp", "x").select(F.concat("k", "grp").alias("grp"), "x")
+    named = lambda k, s: s.withColumn("grp", F.concat(F.lit(k), F.col("grp")))
+    state = keep(named("0", _robust_start(rows)).unionByName(named("1", _plain_start(rows))))
+    best = None
+    for _ in range(most_steps):
+        state = keep(_step(two, state, cover, 0.0, scale))
+        if best is None:
+            best = state
+            continue
+        both = state.join(best.select(F.col("grp").alias("g"), F.col("centre").alias("c"), F.col("root").alias("r"), F.col("log_det").alias("was")), F.col("grp") == F.col("g"))
+        fell = F.col("log_det") < F.col("was") - 1e-6
+        best = keep(both.select("grp", F.when(fell, F.col("centre")).otherwise(F.col("c")).alias("centre"), F.when(fell, F.col("root")).otherwise(F.col("r")).alias("root"), F.least("log_det", "was").alias("log_det"), fell.alias("fell")))
+        if best.where("fell").limit(1).count() == 0:
+            break
+        best = best.drop("fell")
+    own = best.select(F.substr("grp", F.lit(2)).alias("grp"), F.struct("log_det", F.substr("grp", F.lit(1), F.lit(1)).alias("k"), "centre", "root").alias("s"))
+    return keep(own.groupBy("grp").agg(F.min("s").alias("s")).select("grp", "s.centre", "s.root", "s.log_det"))
+
+
 def _grouped(stats: DataFrame, lang: str, source: str, least_rows: int) -> DataFrame:
     """Rows with grp, language and source or the pool of small groups, and whether it has enough rows."""
     name = F.to_json(F.struct(F.col(lang).alias("l"), F.col(source).alias("s")))
@@ -155,25 +191,20 @@ def _grouped(stats: DataFrame, lang: str, source: str, least_rows: int) -> DataF
     return rows.join(chosen, F.col("__own") == F.col("__of")).drop("__own", "__of")
 
 
-def score(docs: DataFrame, *, text: str = "text", lang: str = "lang", source: str = "source", cover: float = 0.75, least_rows: int = 60, most_steps: int = 6, beyond: float = 1e-9, margin: float = 1.5, columns: list[str] | None = None) -> DataFrame:
+def score(docs: DataFrame, *, text: str = "text", lang: str = "lang", source: str = "source", cover: float = 0.75, least_rows: int = 60, most_steps: int = 8, beyond: float = 1e-9, columns: list[str] | None = None) -> DataFrame:
     """The given columns of docs (all by default) with the base statistics, base_failed, distance (squared; null without an
     estimate) and kept. The statistics are worked out once and kept in the shared folder."""
     wanted = columns or docs.columns
     stats = base_statistics(docs, text).select(*wanted, *[c for c in [*BASE, "base_failed"] if c not in wanted], *{c for c in (lang, source) if c not in wanted}) if columns else base_statistics(docs, text)
     stats = keep(stats)
     rows = keep(_grouped(stats.select(lang, source, *BASE, "base_failed"), lang, source, least_rows).where(F.col("enough") & ~F.col("base_failed")).select("grp", F.array(*_vector()).alias("x")))
-    state, scale = keep(_start(rows)), cover / chi_square_below(chi_square_quantile(cover, P), P + 2)
-    for _ in range(most_steps):
-        fresh = keep(_step(rows, state, cover, 0.0, scale))
-        fell = fresh.join(state.select("grp", F.col("log_det").alias("was")), "grp").where(F.col("log_det") < F.col("was") - 1e-3).limit(1).count()
-        state = fresh
-        if not fell:
-            break
+    scale = cover / chi_square_below(chi_square_quantile(cover, P), P + 2)
+    state = _concentrated(rows, cover, scale, most_steps)
     again = 0.975 / chi_square_below(chi_square_quantile(0.975, P), P + 2)
     for _ in range(2):
         state = keep(_step(rows, state, None, chi_square_quantile(0.975, P), again))
     judged = _grouped(stats, lang, source, least_rows).withColumn("x", F.array(*_vector())).join(state.drop("log_det").withColumnRenamed("grp", "__grp"), F.col("grp") == F.col("__grp"), "left")
-    limit = margin * chi_square_quantile(1 - beyond, P)  # the margin allows for tails that are heavier than normal
+    limit = chi_square_quantile(1 - beyond, P)
     out = judged.withColumn("distance", _distance()).withColumn("kept", ~F.col("base_failed") & (F.coalesce(F.col("distance"), F.lit(0.0)) <= limit))
     return out.select(*wanted, *[c for c in [*BASE, "base_failed"] if c not in wanted], "distance", "kept")
 
