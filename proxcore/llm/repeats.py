@@ -2,7 +2,8 @@
 
 Each window has an anchor, the leftmost least hash among its runs of GRAM bytes, so equal windows have equal anchors at
 equal places. Consecutive windows of one anchor form a segment. The distinct segments of a block of texts travel as hashes to
-the shard of their anchor; where a segment is there twice, all its windows are repeated. Distinct segments that share an
+the shard of their anchor. Segments of one anchor hash and one digest, 128 bits together, are one segment with a count: where
+it is there twice, all its windows are repeated, which no order of suffixes needs to find. Distinct segments that share an
 anchor may still share windows: their bytes are fetched, cut to what a neighbour in the order of left or right contexts
 has in common with them, and a suffix array over all segments of the anchor finds the windows that follow one another as
 equals. An anchor of more than HOT distinct segments is split: its windows go in steps of STEP places before the anchor,
@@ -32,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from proxcore.llm.common import keep, partitions
+from proxcore.llm.common import keep, partitions, spread_join
 from proxcore.llm.ngram_lm import dump, load, tight
 from proxcore.llm.suffix_array import suffix_array
 
@@ -359,7 +360,7 @@ def remove_repeats(docs: DataFrame, *, text: str = "text", columns: list[str] |
     more = more.groupBy("mark").agg(F.collect_list(F.struct("start", "end")).alias("__more")).withColumnRenamed("mark", "__m")
     spans = known.where("spans is not null").select(F.col("mark").alias("__k"), F.col("spans").alias("__spans"))
     both = spans.join(more, F.col("__k") == F.col("__m"), "full").select(F.coalesce("__k", "__m").alias("__of"), "__spans", "__more")
-    joined = rows.join(both, F.col("__mark") == F.col("__of"), "left").select(*names, "__text", "__spans", "__more")
+    joined = spread_join(rows, both.withColumnRenamed("__of", "__which"), "__mark", "__which", "left").select(*names, "__text", "__spans", "__more")
     schema = T.StructType([*docs.select(*names).schema.fields, *[T.StructField(c, T.LongType()) for c in ("n_bytes", "n_removed", "n_spans")], T.StructField("kept_sha256", T.StringType())])
     if with_bytes:
         schema = T.StructType([*schema.fields, T.StructField("spans", T.ArrayType(SPANS)), T.StructField("kept", T.BinaryType())])

@@ -3,7 +3,7 @@ become validity intervals; each capture is held, as of its own fetch time, again
 
 An entry names a domain (with all below it) or a host's first path segment. A capture offers each of its domain
 suffixes and its path key to one equi-join with a range condition; the list side is broadcast only where Spark finds it
-small, and a hot domain's captures may be split.
+small. Captures of a hot entry are dealt over several parts, and its few intervals repeated in each.
 
 Defined results: a null or hostless URL matches nothing and is kept; a null fetch time matches nothing; of several
 records of an entry on one date a removal wins; an entry added twice stays one interval; a removal without an addition
@@ -15,7 +15,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-_HOST = r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]+)"
+from proxcore.llm.common import spread_join
+
+_HOST = r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?(\[[^\]/?#]*\]|[^/:?#]+)"
 _SEGMENT = r"^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]+/([^/?#]+)"
 
 
@@ -25,7 +27,7 @@ def host(url: Column) -> Column:
 
 def keys(url: Column) -> Column:
     """What a list may name of a URL: its domain suffixes of two labels or more, and its host with the first path segment."""
-    labels = F.split(host(url), "\\.")
+    labels = F.when(F.startswith(host(url), F.lit("[")), F.array(host(url))).otherwise(F.split(host(url), "\\."))  # an address in brackets is whole
     n = F.size(labels)
     suffixes = F.transform(F.sequence(F.lit(1), F.greatest(n - 1, F.lit(1))), lambda k: F.concat(F.lit("domain:"), F.array_join(F.slice(labels, k, n), ".")))
     segment = F.regexp_extract(url, _SEGMENT, 1)
@@ -46,7 +48,7 @@ def evaluate(captures: DataFrame, entries: DataFrame, *, capture_id: str = "page
     active = intervals(entries)
     rows = captures.select(F.col(capture_id).alias("capture_id"), F.col(at).alias("fetched"), F.col(url).alias("url"))
     offered = rows.select("capture_id", "fetched", "url", F.explode(F.array_distinct(keys(F.col("url")))).alias("entry"))
-    hits = offered.join(active, "entry").where("since <= fetched and (until is null or fetched < until)")
+    hits = spread_join(offered, active.withColumnRenamed("entry", "__entry"), "entry", "__entry").where("since <= fetched and (until is null or fetched < until)")
     # each capture meets an entry in one interval at most; captures that are equal in all three columns have equal results
     found = hits.groupBy(F.col("capture_id").alias("c"), F.col("fetched").alias("f"), F.col("url").alias("u")).agg(F.array_sort(F.collect_set("entry")).alias("found"))
     same = F.col("capture_id").eqNullSafe(F.col("c")) & F.col("fetched").eqNullSafe(F.col("f")) & F.col("url").eqNullSafe(F.col("u"))
