@@ -179,28 +179,30 @@ class Codec:
         ends = np.cumsum((ids >= 0).sum(1)).tolist()
         return [tuple(flat[a:b]) for a, b in zip([0, *ends[:-1]], ends, strict=True)]
 
-    def learn(self, pieces: Iterable[str]) -> None:
-        """Encodes pieces that aren't known yet. Long ones aren't kept."""
+    def learn(self, pieces: Iterable[str]) -> dict[str, tuple[int, ...]]:
+        """Encodes pieces that aren't known yet. Only short ones are remembered; all others are returned."""
+        long: dict[str, tuple[int, ...]] = {}
         groups: dict[int, list[tuple[str, bytes]]] = {}
         for piece in pieces:
             raw = piece.encode("utf-8", "surrogatepass")
             if (whole := self.rank.get(raw)) is not None:
-                self.known[piece] = (whole,)
+                (self.known if len(raw) <= SHORT else long)[piece] = (whole,)
             elif len(raw) <= SHORT:
                 groups.setdefault(max(4, 1 << (len(raw) - 1).bit_length()), []).append((piece, raw))
             else:
-                self.known[piece] = tuple(self.merge_long(raw))
+                long[piece] = tuple(self.merge_long(raw))
         for width, own in groups.items():
             for low in range(0, len(own), 4096):
                 part = own[low : low + 4096]
                 self.known.update(zip([x for x, _ in part], self.merge_short([x for _, x in part], width), strict=True))
+        return long
 
     def encode_all(self, texts: Iterable[str | None]) -> list[np.ndarray]:
         if len(self.known) > REMEMBERED:
             self.known.clear()
         split = [self.split(x) if x else [] for x in texts]
-        self.learn({p for pieces in split for p in pieces if p not in self.known})
-        get, out = self.known.__getitem__, []
+        long = self.learn({p for pieces in split for p in pieces if p not in self.known})
+        get, out = (lambda p, known=self.known: known[p] if p in known else long[p]) if long else self.known.__getitem__, []
         for pieces in split:
             ids: list[int] = []
             for x in map(get, pieces):

@@ -126,4 +126,4 @@ def is_contaminated(hits: str = "hits") -> F.Column:
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, **how: object) -> DataFrame:
-    return scan(docs, benchmark, **how).where(~is_contaminated()).drop("hits")
+    return scan(docs, benchmark, out="__hits", **how).where(~is_contaminated("__hits")).drop("__hits")

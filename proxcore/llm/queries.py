@@ -77,20 +77,22 @@ def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op7_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = chat.rotate(read(spark, sf_dir, "conversations"))
-    return out.select("conv_id", "chunk", "speaker", "n_turns", "n_mask_chars", "rendered", F.concat_ws(",", F.transform("mask", lambda s: F.concat_ws("-", s["start"].cast("string"), s["end"].cast("string")))).alias("mask"))
+    return out.select("conv_id", "chunk", "speaker", "n_turns", "start", "context", "n_mask_chars", "rendered", F.concat_ws(",", F.transform("mask", lambda s: F.concat_ws("-", s["start"].cast("string"), s["end"].cast("string")))).alias("mask"))
 
 
 OP7_SQL = r"""
-WITH t AS (SELECT DISTINCT conv_id, CAST(floor(turn / 64) AS BIGINT) AS chunk, turn, regexp_replace(coalesce(role, 'unknown'), '[\n<>|]', '_', 'g') AS role, replace(coalesce(text, ''), '<|', '< |') AS text FROM conversations),
-who AS (SELECT DISTINCT conv_id, role AS speaker FROM t WHERE role <> 'system'),
-seg AS (SELECT t.*, speaker, role = speaker AS own,
+WITH t AS (SELECT DISTINCT conv_id, CAST(floor(turn / 64) AS BIGINT) AS chunk, turn, coalesce(replace(replace(replace(replace(replace(role, '&', '&amp;'), '<', '&lt;'), '>', '&gt;'), '|', '&#124;'), chr(10), '&#10;'), '&null;') AS role, replace(coalesce(text, ''), '<|', '< |') AS text FROM conversations),
+d AS (SELECT *, CASE WHEN conv_id IS NULL THEN 'turn ' || row_number() OVER () ELSE 'conversation ' || conv_id END AS dialogue FROM t),
+who AS (SELECT DISTINCT dialogue, role AS speaker FROM d WHERE role <> 'system'),
+seg AS (SELECT d.*, speaker, role = speaker AS own,
   CASE WHEN role = speaker THEN '<|im_start|>assistant' WHEN role = 'system' THEN '<|im_start|>system' ELSE '<|im_start|>user name=' || role END || chr(10) AS head, text || '<|im_end|>' AS body
-  FROM t JOIN who ON t.conv_id IS NOT DISTINCT FROM who.conv_id),
-placed AS (SELECT *, coalesce(sum(length(head) + length(body) + 1) OVER (PARTITION BY conv_id, chunk, speaker ORDER BY turn NULLS FIRST, role, text ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + length(head) AS s FROM seg)
-SELECT conv_id, chunk, speaker, count(*) AS n_turns, CAST(coalesce(sum(CASE WHEN own THEN length(body) END), 0) AS BIGINT) AS n_mask_chars,
+  FROM d JOIN who ON d.dialogue = who.dialogue),
+placed AS (SELECT *, CAST(coalesce(sum(length(head) + length(body) + 1) OVER (PARTITION BY dialogue, speaker ORDER BY turn NULLS FIRST, role, text ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS b FROM seg),
+lead AS (SELECT dialogue, chunk, string_agg('<|im_start|>system' || chr(10) || text || '<|im_end|>' || chr(10), '' ORDER BY turn NULLS FIRST, text) FILTER (role = 'system') AS context, row_number() OVER (PARTITION BY dialogue ORDER BY chunk NULLS FIRST) AS k FROM d GROUP BY dialogue, chunk)
+SELECT conv_id, p.chunk, speaker, count(*) AS n_turns, min(b) AS start, CASE WHEN p.chunk IS NOT DISTINCT FROM any_value(l.chunk) THEN '' ELSE coalesce(any_value(context), '') END AS context, CAST(coalesce(sum(CASE WHEN own THEN length(body) END), 0) AS BIGINT) AS n_mask_chars,
   string_agg(head || body || chr(10), '' ORDER BY turn NULLS FIRST, role, text) AS rendered,
-  coalesce(string_agg(CASE WHEN own THEN CAST(CAST(s AS BIGINT) AS VARCHAR) || '-' || CAST(CAST(s + length(body) AS BIGINT) AS VARCHAR) END, ',' ORDER BY turn NULLS FIRST, role, text), '') AS mask
-FROM placed GROUP BY conv_id, chunk, speaker
+  coalesce(string_agg(CASE WHEN own THEN CAST(b + length(head) AS VARCHAR) || '-' || CAST(b + length(head) + length(body) AS VARCHAR) END, ',' ORDER BY turn NULLS FIRST, role, text), '') AS mask
+FROM placed p JOIN lead l ON l.dialogue = p.dialogue AND k = 1 GROUP BY conv_id, p.dialogue, p.chunk, speaker
 """
 
 
@@ -99,8 +101,10 @@ def op8_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    model = secrets.train(secrets.labelled_findings(spark))
-    out = secrets.judge(secrets.candidates(read(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id"), model)
+    docs = read(spark, sf_dir, "documents").select("doc_id", "text")
+    words = secrets.vocabulary(docs)
+    model = secrets.train(secrets.labelled_findings(spark), words)
+    out = secrets.judge(secrets.candidates(docs, "doc_id"), model, words)
     return out.select("doc_id", "start", "end", F.sha2("value", 256).alias("value_sha256"), "probability", "is_secret")
 
 
@@ -128,9 +132,9 @@ def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 OP10_SQL = r"""
-WITH p AS (SELECT page_id, url, page_id * 37 % 366 AS day, lower(regexp_extract(url, '^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?([^/:?#]+)', 1)) AS host, regexp_extract(url, '^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]+/([^/?#]+)', 1) AS seg FROM pages),
+WITH p AS (SELECT page_id, url, page_id * 37 % 366 AS day, lower(regexp_extract(url, '^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/?#@]*@)?(\[[^\]/?#]*\]|[^/:?#]+)', 1)) AS host, regexp_extract(url, '^[a-zA-Z][a-zA-Z0-9+.-]*://[^/?#]+/([^/?#]+)', 1) AS seg FROM pages),
 offered AS (
-  SELECT DISTINCT page_id, day, 'domain:' || array_to_string(list_slice(l, k, len(l)), '.') AS entry FROM (SELECT page_id, day, l, unnest(range(1, greatest(len(l) - 1, 1) + 1)) AS k FROM (SELECT page_id, day, string_split(host, '.') AS l FROM p WHERE host <> ''))
+  SELECT DISTINCT page_id, day, 'domain:' || array_to_string(list_slice(l, k, len(l)), '.') AS entry FROM (SELECT page_id, day, l, unnest(range(1, greatest(len(l) - 1, 1) + 1)) AS k FROM (SELECT page_id, day, CASE WHEN host LIKE '[%' THEN [host] ELSE string_split(host, '.') END AS l FROM p WHERE host <> ''))
   UNION SELECT page_id, day, 'path:' || host || '/' || seg FROM p WHERE host <> '' AND seg <> ''),
 names AS (SELECT DISTINCT entry, ('0x' || substr(md5('first:' || entry), 1, 8))::BIGINT % 300 AS f, 1 + ('0x' || substr(md5('stay:' || entry), 1, 8))::BIGINT % 90 AS s, 1 + ('0x' || substr(md5('gap:' || entry), 1, 8))::BIGINT % 60 AS g, ('0x' || substr(md5('fate:' || entry), 1, 8))::BIGINT % 8 AS fate
   FROM offered WHERE ('0x' || substr(md5('listed:' || entry), 1, 8))::BIGINT % 5 = 0),
