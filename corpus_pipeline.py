@@ -26,7 +26,8 @@ def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str)
 
 
 def secret_redaction(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return secrets.redact(docs, secrets.train(secrets.labelled_findings(spark)))
+    words = secrets.vocabulary(docs)
+    return secrets.redact(docs, secrets.train(secrets.labelled_findings(spark), words), words)
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,7 +39,7 @@ STAGES = [
     ("secrets", secret_redaction), ("tokens", tokens),
 ]
 
-#: The forest, the robust estimates and the BPE merges are beyond SQL; tests hold each stage against brute force.
+#: The forest, the robust estimates and the BPE merges are beyond SQL; tests/llm/test_pipeline.py holds each stage against a plain version.
 ORACLE_SQL = None
 
 
