@@ -12,7 +12,7 @@ Samples are drawn by improved consistent weighted sampling in the logarithmic do
 Gamma(2, 1) draws and a uniform one follow from the hashed shingle; the least score of a text is its sample, equal for two
 texts with the probability of their weighted Jaccard similarity. BANDS bands of ROWS samples, and the bands in pairs,
 form buckets. First each text is verified against the partner it meets most often among the least members of its buckets.
-Then, in rounds, the least members of each bucket (one, then HUBS_MORE times as many as before) are verified against all its others
+Then, in rounds, the least members of each bucket (HUBS, then HUBS_MORE times as many as before) are verified against all its others
 that are in another component and go out of the bucket, until every bucket is within one component. So each two members
 of a bucket are verified or already linked; pairs grow with the square of a bucket only where its members aren't alike.
 Links are closed into components.
@@ -41,7 +41,7 @@ from proxcore.llm.ngram_lm import dump, load, tight
 WIDTH, LEAST, DAMPING = 5, 0.8, 0.5
 #: Cells of the document frequencies and of one message of them.
 CELLS, CHUNK = 1 << 22, 1 << 16
-BANDS, ROWS, HUBS_MORE = 16, 4, 8
+BANDS, ROWS, HUBS, HUBS_MORE = 16, 4, 16, 64
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 _SHIFT = np.uint64(32)
 
@@ -240,7 +240,7 @@ def _roots(buckets: DataFrame, texts: DataFrame, sent, least: float) -> DataFram
     met = buckets.join(hubs, "key").where("id <> a").groupBy("a", F.col("id").alias("b")).agg(F.count("*").alias("n"))
     tried = keep(met.groupBy("b").agg(F.max_by("a", F.struct("n", -F.col("a"))).alias("a")).select("a", "b"))
     links = keep(_verified(tried, texts, sent, least))
-    roots, width = keep(components(links)), 1
+    roots, width = keep(components(links)), HUBS
     while True:
         named = buckets.join(roots, F.col("id") == F.col("node"), "left").select("key", "id", F.coalesce("root", "id").alias("root"))
         buckets = keep(named.join(named.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low < high").select("key"), "key", "left_semi"))
