@@ -163,18 +163,15 @@ def _concentrated(rows: DataFrame, cover: float, scale: float, most_steps: int)
     two = rows.select(F.explode(F.array(F.lit("0"), F.lit("1"))).alias("k"), "grp", "x").select(F.concat("k", "grp").alias("grp"), "x")
     named = lambda k, s: s.withColumn("grp", F.concat(F.lit(k), F.col("grp")))
     state = keep(named("0", _robust_start(rows)).unionByName(named("1", _plain_start(rows))))
-    best = None
+    met: list[DataFrame] = []
     for _ in range(most_steps):
-        state = keep(_step(two, state, cover, 0.0, scale))
-        if best is None:
-            best = state
-            continue
-        both = state.join(best.select(F.col("grp").alias("g"), F.col("centre").alias("c"), F.col("root").alias("r"), F.col("log_det").alias("was")), F.col("grp") == F.col("g"))
-        fell = F.col("log_det") < F.col("was") - 1e-6
-        best = keep(both.select("grp", F.when(fell, F.col("centre")).otherwise(F.col("c")).alias("centre"), F.when(fell, F.col("root")).otherwise(F.col("r")).alias("root"), F.least("log_det", "was").alias("log_det"), fell.alias("fell")))
-        if best.where("fell").limit(1).count() == 0:
+        fresh = keep(_step(two, state, cover, 0.0, scale))
+        met.append(fresh)
+        fell = fresh.join(state.select("grp", F.col("log_det").alias("was")), "grp").where(F.col("log_det") < F.col("was") - 1e-3).limit(1).count()
+        state = fresh
+        if not fell and len(met) > 1:
             break
-        best = best.drop("fell")
+    best = reduce(DataFrame.unionByName, met)  # a row for each group, start and step
     own = best.select(F.substr("grp", F.lit(2)).alias("grp"), F.struct("log_det", F.substr("grp", F.lit(1), F.lit(1)).alias("k"), "centre", "root").alias("s"))
     return keep(own.groupBy("grp").agg(F.min("s").alias("s")).select("grp", "s.centre", "s.root", "s.log_det"))
 
@@ -191,7 +188,7 @@ def _grouped(stats: DataFrame, lang: str, source: str, least_rows: int) -> DataF
     return rows.join(chosen, F.col("__own") == F.col("__of")).drop("__own", "__of")
 
 
-def score(docs: DataFrame, *, text: str = "text", lang: str = "lang", source: str = "source", cover: float = 0.75, least_rows: int = 60, most_steps: int = 8, beyond: float = 1e-9, columns: list[str] | None = None) -> DataFrame:
+def score(docs: DataFrame, *, text: str = "text", lang: str = "lang", source: str = "source", cover: float = 0.75, least_rows: int = 60, most_steps: int = 6, beyond: float = 1e-9, columns: list[str] | None = None) -> DataFrame:
     """The given columns of docs (all by default) with the base statistics, base_failed, distance (squared; null without an
     estimate) and kept. The statistics are worked out once and kept in the shared folder."""
     wanted = columns or docs.columns
