@@ -39,7 +39,8 @@ STAGES = [
     ("secrets", secret_redaction), ("tokens", tokens),
 ]
 
-#: The forest, the robust estimates and the BPE merges are beyond SQL; tests/llm/test_pipeline.py holds each stage against a plain version.
+#: The forest, the robust estimates and the BPE merges are beyond SQL. tests/llm holds the operators against plain versions; of the
+#: stages together it looks at row counts and columns.
 ORACLE_SQL = None
 
 
