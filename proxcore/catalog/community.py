@@ -226,8 +226,8 @@ put("inefficiency_community", on("copurchase_q1", 4, lambda g, st, q, p, w: heur
 
 
 def _two(s: SparkSession, d: str, view: str) -> tuple[TemporalGraph, list[int]]:
-    g, _, q, _, _ = _base(s, d, view, 5)
-    return g, [r["q"] for r in q.orderBy("q").limit(2).collect()]
+    g = VIEWS[view](s, d).settled()
+    return g, [r["q"] for r in pick(g, 5).orderBy("q").limit(2).collect()]
 
 
 def _joined(s: SparkSession, d: str) -> DataFrame:
