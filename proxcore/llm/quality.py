@@ -99,50 +99,55 @@ def chi_square_quantile(q: float, p: int) -> float:
     return high
 
 
-def _distance(prefix: str = "") -> Column:
+def _distance() -> Column:
     """Squared, from the joined columns centre and root, the lower triangle of the scatter's Cholesky factor by rows."""
-    z: list[Column] = []
+    z: list[str] = []
     for i in range(P):
-        rest = reduce(lambda s, j: s - F.get("root", F.lit(i * (i + 1) // 2 + j)) * z[j], range(i), F.get("x", F.lit(i)) - F.get("centre", F.lit(i)))
-        z.append(rest / F.get("root", F.lit(i * (i + 1) // 2 + i)))
-    return reduce(lambda s, v: s + v * v, z, F.lit(0.0))
+        at = i * (i + 1) // 2
+        less = "".join(f" - get(root, {at + j}) * {z[j]}" for j in range(i))
+        z.append(f"(({_off(i)}{less}) / get(root, {at + i}))")
+    return F.expr(" + ".join(f"{v} * {v}" for v in z))
 
 
-def _factor(groups: DataFrame, cov: dict[tuple[int, int], Column]) -> DataFrame:
-    """grp, centre, root, log_det from a table with grp, centre; cov gives the scatter's lower triangle."""
-    out = groups.withColumns({f"c{i}_{j}": F.greatest(cov[i, j], F.lit(FLOORS[FEATURES[i]] ** 2)) if i == j else cov[i, j] for i in range(P) for j in range(i + 1)})
-    for i in range(P):
-        for j in range(i + 1):
-            rest = reduce(lambda s, k: s - F.col(f"l{i}_{k}") * F.col(f"l{j}_{k}"), range(j), F.col(f"c{i}_{j}"))  # noqa: B023
-            out = out.withColumn(f"l{i}_{j}", F.sqrt(F.greatest(rest, F.lit(1e-9))) if i == j else rest / F.col(f"l{j}_{j}"))
-    return out.select("grp", "centre", F.array(*[F.col(f"l{i}_{j}") for i in range(P) for j in range(i + 1)]).alias("root"), reduce(lambda s, i: s + 2 * F.log(f"l{i}_{i}"), range(P), F.lit(0.0)).alias("log_det"))
+def _off(i: int) -> str:
+    return f"(get(x, {i}) - get(centre, {i}))"
 
 
 def _pairs() -> list[tuple[int, int]]:
     return [(i, j) for i in range(P) for j in range(i + 1)]
 
 
+def _factor(groups: DataFrame, cov: dict[tuple[int, int], str]) -> DataFrame:
+    """grp, centre, root, log_det from a table with grp, centre; cov gives the scatter's lower triangle as SQL."""
+    given = [f"greatest({cov[i, j]}, {FLOORS[FEATURES[i]] ** 2}D) AS c{i}_{j}" if i == j else f"{cov[i, j]} AS c{i}_{j}" for i, j in _pairs()]
+    steps = []
+    for i, j in _pairs():
+        rest = f"c{i}_{j}" + "".join(f" - l{i}_{k} * l{j}_{k}" for k in range(j))
+        steps.append(f"sqrt(greatest({rest}, 1e-9D)) AS l{i}_{j}" if i == j else f"({rest}) / l{j}_{j} AS l{i}_{j}")  # on aliases to the left
+    root = ", ".join(f"l{i}_{j}" for i, j in _pairs())
+    log_det = " + ".join(f"2 * ln(l{i}_{i})" for i in range(P))
+    return groups.selectExpr("grp", "centre", *given).selectExpr("grp", "centre", *steps, f"array({root}) AS root", f"{log_det} AS log_det").select("grp", "centre", "root", "log_det")
+
+
 def _plain_start(rows: DataFrame) -> DataFrame:
     """Means and the scatter of all rows."""
-    x = lambda i: F.get("x", F.lit(i))
-    groups = rows.groupBy("grp").agg(F.array(*[F.avg(x(i)) for i in range(P)]).alias("centre"), *[F.covar_pop(x(i), x(j)).alias(f"v{i}_{j}") for i, j in _pairs()])
-    return _factor(groups, {(i, j): F.col(f"v{i}_{j}") for i, j in _pairs()})
+    centre = ", ".join(f"avg(get(x, {i}))" for i in range(P))
+    groups = rows.groupBy("grp").agg(F.expr(f"array({centre}) AS centre"), *[F.expr(f"covar_pop(get(x, {i}), get(x, {j})) AS v{i}_{j}") for i, j in _pairs()])
+    return _factor(groups, {(i, j): f"v{i}_{j}" for i, j in _pairs()})
 
 
 def _robust_start(rows: DataFrame) -> DataFrame:
     """Medians and squared quartile distances."""
-    q = [F.percentile_approx(F.get("x", F.lit(i)), [0.25, 0.5, 0.75], 1000).alias(f"q{i}") for i in range(P)]
-    groups = rows.groupBy("grp").agg(*q).withColumn("centre", F.array(*[F.get(f"q{i}", F.lit(1)) for i in range(P)]))
-    spread = lambda i: F.pow((F.get(f"q{i}", F.lit(2)) - F.get(f"q{i}", F.lit(0))) / 1.349, F.lit(2.0))
-    return _factor(groups, {(i, j): spread(i) if i == j else F.lit(0.0) for i in range(P) for j in range(i + 1)})
+    q = [F.expr(f"percentile_approx(get(x, {i}), array(0.25, 0.5, 0.75), 1000) AS q{i}") for i in range(P)]
+    groups = rows.groupBy("grp").agg(*q).selectExpr("*", f"array({', '.join(f'get(q{i}, 1)' for i in range(P))}) AS centre")
+    return _factor(groups, {(i, j): f"power((get(q{i}, 2) - get(q{i}, 0)) / 1.349D, 2)" if i == j else "0D" for i, j in _pairs()})
 
 
 def _step(rows: DataFrame, state: DataFrame, cover: float | None, within: float, scale: float) -> DataFrame:
     """The next estimate, from the nearest rows: the share cover, or if it is None those within a squared distance."""
     near = rows.join(state.drop("log_det"), "grp").withColumn("d", _distance())
-    off = [F.get("x", F.lit(i)) - F.get("centre", F.lit(i)) for i in range(P)]
-    moments = [F.sum(off[i]).alias(f"s{i}") for i in range(P)] + [F.sum(off[i] * off[j]).alias(f"s{i}_{j}") for i in range(P) for j in range(i + 1)]
-    names = [f"s{i}" for i in range(P)] + [f"s{i}_{j}" for i in range(P) for j in range(i + 1)]
+    sums_of = {f"s{i}": _off(i) for i in range(P)} | {f"s{i}_{j}": f"{_off(i)} * {_off(j)}" for i, j in _pairs()}
+    moments = [F.expr(f"sum({x}) AS {name}") for name, x in sums_of.items()]
     if cover is None:
         sums = near.where(F.col("d") <= within).groupBy("grp").agg(F.count("*").alias("n"), *moments)
     else:
@@ -150,11 +155,10 @@ def _step(rows: DataFrame, state: DataFrame, cover: float | None, within: float,
         own = Window.partitionBy("grp")
         nearer = F.sum("n").over(own.orderBy("bin")) - F.col("n")
         kept = bins.select("*", nearer.alias("nearer"), F.sum("n").over(own).alias("all")).where(F.col("nearer") < F.ceil(cover * F.col("all")))
-        sums = kept.groupBy("grp").agg(F.sum("n").alias("n"), *[F.sum(c).alias(c) for c in names])
+        sums = kept.groupBy("grp").agg(F.sum("n").alias("n"), *[F.expr(f"sum({name}) AS {name}") for name in sums_of])
     sums = sums.join(state.select("grp", F.col("centre").alias("was")), "grp")
-    sums = sums.withColumn("centre", F.array(*[F.get("was", F.lit(i)) + F.col(f"s{i}") / F.col("n") for i in range(P)]))
-    cov = {(i, j): scale * (F.col(f"s{i}_{j}") / F.col("n") - F.col(f"s{i}") * F.col(f"s{j}") / (F.col("n") * F.col("n"))) for i in range(P) for j in range(i + 1)}
-    return _factor(sums, cov)
+    sums = sums.selectExpr("*", f"array({', '.join(f'get(was, {i}) + s{i} / n' for i in range(P))}) AS centre")
+    return _factor(sums, {(i, j): f"{scale!r}D * (s{i}_{j} / n - s{i} * s{j} / (CAST(n AS DOUBLE) * n))" for i, j in _pairs()})
 
 
 def _concentrated(rows: DataFrame, cover: float, scale: float, most_steps: int) -> DataFrame:
