@@ -135,8 +135,11 @@ def band_keys(sample: np.ndarray) -> np.ndarray:
 
 def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
     """Weighted Jaccard of two vectors."""
-    _, x, y = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
-    both = np.minimum(a[1][x], b[1][y]).sum()
+    if not len(a[0]) or not len(b[0]):
+        return 0.0
+    at = np.minimum(np.searchsorted(a[0], b[0]), len(a[0]) - 1)
+    met = a[0][at] == b[0]
+    both = np.minimum(a[1][at[met]], b[1][met]).sum()
     total = a[1].sum() + b[1].sum() - both
     return float(both / total) if total else 0.0
 
