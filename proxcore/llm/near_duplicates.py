@@ -41,7 +41,7 @@ from proxcore.llm.ngram_lm import dump, load, tight
 WIDTH, LEAST, DAMPING = 5, 0.8, 0.5
 #: Cells of the document frequencies and of one message of them.
 CELLS, CHUNK = 1 << 22, 1 << 16
-BANDS, ROWS, HUBS, HUBS_MORE = 16, 4, 16, 64
+BANDS, ROWS, HUBS, HUBS_MORE = 16, 4, 16, 16
 _MIX = [np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F)]
 _SHIFT = np.uint64(32)
 
