@@ -64,7 +64,8 @@ put("store_buckets", _bucketed, S.query(S.graph("trade"), S.picked(50), select="
 
 
 def _live(s: SparkSession, d: str) -> DataFrame:
-    return E.source(s, f"{d}/events.parquet*")
+    """The whole table as one batch: its files are in no order of time, and a watermark would keep out what a later file repeats."""
+    return E.source(s, f"{d}/events.parquet*", 1_000_000)
 
 
 def _name() -> str:

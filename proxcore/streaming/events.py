@@ -6,6 +6,7 @@ per-vertex last times, and registered queries are worked out anew on what each b
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterable, Iterator
 
 import pandas as pd
@@ -16,6 +17,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from proxcore.exact import exact_community
 from proxcore.graph import TemporalGraph
+from proxcore.runtime import shared_dir
 from proxcore.sources.tables import SCHEMAS
 
 
@@ -68,11 +70,18 @@ def last_seen(events: DataFrame, delay: str = "2 hours") -> DataFrame:
 
 
 def drain(df: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """All that is available, in a table in memory: for tests and small results."""
-    writer = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    query = (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start()
-    query.awaitTermination()
-    return df.sparkSession.table(name)
+    """All that is available, as a table of Parquet files in the folder that the cluster shares: the rows of all batches, or in
+    complete mode those of the last one. No row passes the driver; a batch that runs again replaces its own rows."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/stream-{name}-{uuid.uuid4().hex}"
+    spark.createDataFrame([], df.schema).write.parquet(f"{path}/batch=none")
+
+    def batch(rows: DataFrame, number: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{path}/batch={'all' if mode == 'complete' else number}")
+
+    writer = df.writeStream.queryName(name).outputMode(mode).trigger(availableNow=True).foreachBatch(batch)
+    (writer.option("checkpointLocation", checkpoint) if checkpoint else writer).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(f"{path}/batch=*")
 
 
 def land(df: DataFrame, path: str, checkpoint: str) -> None:

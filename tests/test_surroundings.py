@@ -84,6 +84,24 @@ def test_streams_agree_with_batches(spark, stream_folder, tmp_path):
     assert E.drain(E.bursts(E.source(spark, stream_folder)), "bursts", "complete").agg(F.sum("n")).first()[0] == batch.count()
 
 
+def test_streams_reach_no_table_in_memory(spark, stream_folder):
+    """What a stream returns is in files, so its size is no matter of the driver's memory."""
+    for mode, make in (("append", E.once), ("complete", E.bursts)):
+        got = E.drain(make(E.source(spark, stream_folder)), f"files_{mode}", mode)
+        assert got.inputFiles() and not spark.catalog.tableExists(f"files_{mode}")
+        assert got.agg(F.count("*") if mode == "append" else F.sum("n")).first()[0] == tables.table(spark, SF, "events").count()
+
+
+def test_whole_tables_stream_as_one_batch(spark, tmp_path):
+    """A later file repeats the times of an earlier one: the watermark keeps out none of its rows."""
+    rows = tables.table(spark, SF, "events")
+    for k in range(2):
+        rows.withColumns({c: F.col(c) + k * 1_000_000 for c in ("event_id", "user_id")}).coalesce(1).write.mode("append").parquet(str(tmp_path / "events.parquet"))
+    from proxcore.catalog import surroundings
+
+    assert surroundings.QUERIES["stream_once"](spark, str(tmp_path)).count() == 2 * rows.count()
+
+
 def test_late_rows_and_repeats_are_dropped(spark, tmp_path):
     row = lambda i, h: (i, datetime.datetime(2024, 1, 1, h), 1, "view", 1.0, "{}")
     folder = tmp_path / "in"
