@@ -3,7 +3,7 @@
 import numpy as np
 import pytest
 
-from proxcore import compact, exact, local
+from proxcore import compact, exact, local, metrics
 from proxcore import kernels as K
 from proxcore import proximity as P
 from proxcore.baselines import static
@@ -78,6 +78,27 @@ def test_graphs_that_don_t_fit_take_the_distributed_way(spark, monkeypatch):
     assert compact.ship(graph(spark, BASIC)) is None
 
 
+def test_tasks_take_components_of_larger_graphs(spark, monkeypatch):
+    """Two copies of a graph of 7 edges: with room for 8 a task holds the query's copy; with room for 3 the distributed way runs."""
+    two = BASIC + [(u + 100, v + 100, t) for u, v, t in BASIC]
+    g, one = graph(spark, two).settled(), graph(spark, BASIC).settled()
+    want = [(q + 100, v + 100, x) for q, v, x in rows(static.floor_kcore(one, [2], k=2, method="task"), "q", "v", "floor")]
+    own = {method: {r["v"] + 100 for r in local.local_community(one, [2], method=method).collect()} for method in ("task", "queue")}
+    monkeypatch.setattr(compact, "MOST_EDGES", 8)
+    monkeypatch.setattr(local, "IN_TASK", 8)
+    assert rows(compact.near(g, [102]).edges, "u", "v", "t") == sorted((u + 100, v + 100, t) for u, v, t in BASIC)
+    assert rows(static.floor_kcore(g, [102], k=2, method="task"), "q", "v", "floor") == want
+    for method in ("task", "queue"):
+        assert {r["v"] for r in local.local_community(g, [102], method=method).collect()} == own[method]
+    assert metrics.array_bytes(g, [102]).count() == 3
+    monkeypatch.setattr(compact, "MOST_EDGES", 3)
+    monkeypatch.setattr(local, "IN_TASK", 3)
+    h = graph(spark, two).settled()
+    with pytest.warns(UserWarning, match="distributed"):
+        assert compact.or_distributed(lambda: local._by_task(h, [102], 0.2, "reciprocal", True, True, "max")) is None
+        assert rows(static.floor_kcore(h, [102], k=2, method="task"), "q", "v", "floor") == want
+
+
 def test_an_empty_graph_has_no_communities(spark):
     g = graph(spark, BASIC)
     empty = type(g)(g.edges.where("t > 100"))
