@@ -102,6 +102,14 @@ def test_whole_tables_stream_as_one_batch(spark, tmp_path):
     assert surroundings.QUERIES["stream_once"](spark, str(tmp_path)).count() == 2 * rows.count()
 
 
+def test_interval_degree_works_out_no_proximity(spark, monkeypatch):
+    from proxcore.catalog import community
+
+    community._base.cache_clear()
+    monkeypatch.setattr(community, "prox_hops", None)
+    assert community.QUERIES["interval_degree"](spark, SF).count() <= 1
+
+
 def test_late_rows_and_repeats_are_dropped(spark, tmp_path):
     row = lambda i, h: (i, datetime.datetime(2024, 1, 1, h), 1, "view", 1.0, "{}")
     folder = tmp_path / "in"
