@@ -16,7 +16,7 @@ from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from proxcore.exact import exact_community
-from proxcore.graph import TemporalGraph
+from proxcore.graph import SlotGraph
 from proxcore.runtime import shared_dir
 from proxcore.sources.tables import SCHEMAS
 
@@ -97,8 +97,6 @@ def follow(events: DataFrame, queries: Iterable[int], store: str, checkpoint: st
     def batch(df: DataFrame, number: int) -> None:
         df.where("event_type = 'purchase'").select("user_id", F.floor(F.unix_timestamp("ts") / seconds).alias("t")).distinct().write.mode("overwrite").parquet(f"{store}/batch={number}")
         slots = df.sparkSession.read.parquet(store).select("user_id", "t").distinct()
-        other = slots.select(F.col("user_id").alias("v"), F.col("t").alias("s"))
-        g = TemporalGraph.from_edges(slots.select(F.col("user_id").alias("u"), "t").join(other, (F.col("t") == F.col("s")) & (F.col("u") < F.col("v"))), "u", "v", "t")
-        sink(exact_community(g, wanted), number)
+        sink(exact_community(SlotGraph(slots.select(F.col("user_id").alias("v"), "t")).settled(), wanted), number)
 
     return events.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
