@@ -7,10 +7,12 @@ import pytest
 
 from proxcore import compact, cores, exact, local, metrics
 from proxcore import proximity as P
+from proxcore.baselines import temporal
 from proxcore.catalog import community, structure, surroundings
 from proxcore.graph import SlotGraph, TemporalGraph
 from proxcore.runtime import settle
 from proxcore.slots import Slots
+from proxcore.sources.views import VIEWS
 
 SF = "/root/testdata/sf0.001"
 rows = lambda df: sorted(map(tuple, df.collect()))
@@ -58,7 +60,7 @@ def no_edges(monkeypatch):
     community._base.cache_clear()
 
 
-@pytest.mark.parametrize("name", ["prox_meet10", "core_numbers_meet10", "exact_meet10", "local_task_dense", "stream_follow"])
+@pytest.mark.parametrize("name", ["prox_meet10", "core_numbers_meet10", "exact_meet10", "local_task_dense", "stream_follow", "persistent_core"])
 def test_queries_over_meetings_list_no_edges(spark, no_edges, name):
     assert (structure.QUERIES | community.QUERIES | surroundings.QUERIES)[name](spark, SF).count() >= 0
 
@@ -77,3 +79,11 @@ def test_both_forms_agree(spark):
     assert rows(compact.smallest_degree(g, weights, found)) == rows(metrics.min_biased_degree(h.static, weights, found))
     assert rows(cores.component(g.slots, found)) == rows(cores.component(h.static, found))
     assert rows(local.local_community(g, q).select("q", "v")) == rows(local.local_community(h, q).select("q", "v"))
+
+
+@pytest.mark.parametrize("how", [(3, 2, 2), (2, 1, 1), (4, 3, 2)])
+def test_persistent_cores_by_slots(spark, how):
+    g = VIEWS["meet"](spark, SF).settled()
+    h = TemporalGraph(g.edges)
+    q = structure.pick(g, 5)
+    assert rows(temporal.persistent_core(g, q, *how)) == rows(temporal.persistent_core(h, q, *how))
