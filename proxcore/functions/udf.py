@@ -5,12 +5,16 @@ from __future__ import annotations
 
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from proxcore import kernels
+from proxcore import compact, kernels
+
+#: Arcs of a linear system that is solved as a dense one.
+MOST_DENSE = 4_000
 
 
 def decay_udf(f: Callable[[pd.Series], pd.Series]):  # noqa: ANN201
@@ -47,10 +51,18 @@ def communities_by_graph(edges: DataFrame, queries: DataFrame, alpha: float = 0.
 
 def proximity_by_graph(edges: DataFrame, queries: DataFrame, alpha: float = 0.2, method: str = "stream") -> DataFrame:
     """graph, q, v, prox by the sequential methods: one pass over the edge stream, or the dense linear system (which holds all
-    pairs of arcs), for many small graphs at a time: edges (graph, u, v, t), queries (graph, q); a task for each query."""
+    pairs of arcs), for many small graphs at a time: edges (graph, u, v, t), queries (graph, q); a task for each query. The system is
+    triangular, for arcs feed later ones alone, so beyond MOST_DENSE arcs it is solved by substitution in order of time."""
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         graph, q = int(key[0]), int(key[1])
+        if method == "dense" and 2 * len(pdf) > MOST_DENSE:
+            a = compact.Arrays(*(pdf[c].to_numpy(np.int64) for c in ("u", "v", "t")))
+            if (k := a.at(q)) is None:
+                return pd.DataFrame([], columns=["graph", "q", "v", "prox"])
+            x = a.proximity([k], alpha)[:, 0]
+            has = np.flatnonzero(x)
+            return pd.DataFrame({"graph": graph, "q": q, "v": a.ids[has], "prox": x[has]})
         walks = kernels.Walks(zip(pdf["u"].tolist(), pdf["v"].tolist(), pdf["t"].tolist(), strict=True))
         scores = walks.stream(q, alpha) if method == "stream" else walks.dense(q, alpha)
         return pd.DataFrame([(graph, q, v, float(x)) for v, x in sorted(scores.items()) if x], columns=["graph", "q", "v", "prox"])

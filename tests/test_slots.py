@@ -9,10 +9,12 @@ from proxcore import compact, cores, exact, local, metrics
 from proxcore import proximity as P
 from proxcore.baselines import temporal
 from proxcore.catalog import community, structure, surroundings
+from proxcore.functions import udf
 from proxcore.graph import SlotGraph, TemporalGraph
 from proxcore.runtime import settle
 from proxcore.slots import Slots
 from proxcore.sources.views import VIEWS
+from tests.graphs import random_edges
 
 SF = "/root/testdata/sf0.001"
 rows = lambda df: sorted(map(tuple, df.collect()))
@@ -87,3 +89,12 @@ def test_persistent_cores_by_slots(spark, how):
     h = TemporalGraph(g.edges)
     q = structure.pick(g, 5)
     assert rows(temporal.persistent_core(g, q, *how)) == rows(temporal.persistent_core(h, q, *how))
+
+
+def test_large_linear_systems_are_solved_by_substitution(spark, monkeypatch):
+    edges = spark.createDataFrame([(0, *e) for e in random_edges(4, 9, 18)], "graph bigint, u bigint, v bigint, t bigint")
+    queries = spark.createDataFrame([(0, 1), (0, 2), (0, 99)], "graph bigint, q bigint")
+    prox = lambda: rows(udf.proximity_by_graph(edges, queries, method="dense").selectExpr("q", "v", "round(prox, 9) AS prox").where("prox > 0"))
+    dense = prox()
+    monkeypatch.setattr(udf, "MOST_DENSE", 0)
+    assert dense and prox() == dense
