@@ -98,3 +98,14 @@ def test_large_linear_systems_are_solved_by_substitution(spark, monkeypatch):
     dense = prox()
     monkeypatch.setattr(udf, "MOST_DENSE", 0)
     assert dense and prox() == dense
+
+
+def test_a_large_graph_gives_a_task_the_queries_components(spark, monkeypatch):
+    """auto took the distributed way for all of a graph beyond a task, although the walks stay in a small component."""
+    small, far = random_edges(4, 9, 18), [(u + 100, v + 100, t) for u, v, t in random_edges(5, 40, 90)]
+    g = TemporalGraph.from_edges(spark.createDataFrame(small + far, "u bigint, v bigint, t bigint")).settled()
+    want = rows(exact.exact_community(TemporalGraph.from_edges(spark.createDataFrame(small, "u bigint, v bigint, t bigint")), [1, 2]))
+    monkeypatch.setattr(compact, "MOST_EDGES", 30)
+    monkeypatch.setattr(exact, "prox_hops", None)
+    assert compact.ship(g) is None and want and rows(exact.exact_community(g, [1, 2])) == want
+    assert compact.near(g, [1, 2]) is compact.near(g, [2, 1])
