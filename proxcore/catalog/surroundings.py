@@ -72,6 +72,9 @@ def _name() -> str:
     return f"s_{uuid.uuid4().hex}"
 
 
+def _spread(df: DataFrame) -> DataFrame:
+    """In more parts than tasks run at once, for few rows that become many."""
+    return df.repartition(4 * df.sparkSession.sparkContext.defaultParallelism)
 
 
 def _hour() -> F.Column:
@@ -87,7 +90,7 @@ put("stream_sessions", lambda s, d: E.drain(E.bursts(_live(s, d)), _name(), "com
 WITH m AS (SELECT user_id, epoch_us(ts) AS tick, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER w < 1800000000 THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
 r AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY tick) AS run FROM m)
 SELECT user_id, min(tick) AS start_us, count(*) AS n FROM r GROUP BY user_id, run""")
-put("stream_meetings", lambda s, d: E.drain(E.meetings(_live(s, d)), _name()).select("u", "v", "t").distinct(), EDGE_SQL["meet10"])
+put("stream_meetings", lambda s, d: E.pairs(_spread(E.drain(E.gatherings(_live(s, d)), _name()))), EDGE_SQL["meet10"])
 put("stream_last_seen", lambda s, d: E.drain(E.last_seen(_live(s, d)), _name(), "update"), "SELECT user_id, count(DISTINCT floor(epoch(ts) / 3600)) AS n, CAST(max(floor(epoch(ts) / 3600)) AS BIGINT) AS last FROM events GROUP BY user_id")
 put("stream_once", lambda s, d: E.drain(E.once(_live(s, d)), _name()).select("event_id"), "SELECT event_id FROM events")
 

@@ -33,7 +33,8 @@ def once(events: DataFrame, delay: str = "2 hours") -> DataFrame:
 
 
 def meetings(events: DataFrame, seconds: int = 600, delay: str = "1 hour") -> DataFrame:
-    """u, v, t: users with a purchase in the same slot; a stream joined to itself within the slot, both under a watermark."""
+    """u, v, t: users with a purchase in the same slot; a stream joined to itself within the slot, both under a watermark. The state has
+    every purchase twice, and a pair may come again; `gatherings` keeps each slot's users instead."""
     buys = events.where("event_type = 'purchase'").withWatermark("ts", delay)
     slot = F.floor(F.unix_timestamp("ts") / seconds)
     a = buys.select(F.col("user_id").alias("u"), slot.alias("t"), F.col("ts").alias("at"))
@@ -42,6 +43,33 @@ def meetings(events: DataFrame, seconds: int = 600, delay: str = "1 hour") -> Da
     return a.join(b, near).select("u", "v", "t", F.greatest("at", "bt").alias("ts"))
 
 
+def gatherings(events: DataFrame, seconds: int = 600, delay: str = "1 hour") -> DataFrame:
+    """t, old, fresh: the users (arrays) whose first purchase in a slot a batch has, and those that came before them. A slot's users are its
+    state, which goes when the watermark has passed the slot. `pairs` makes the meetings of it, each once."""
+
+    def run(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        old = list(state.get[0]) if state.exists else []
+        fresh = sorted({int(x) for part in parts for x in part["user_id"]}.difference(old))
+        state.update(([*old, *fresh],))
+        state.setTimeoutTimestamp(max((int(key[0]) + 1) * seconds * 1000, state.getCurrentWatermarkMs() + 1))
+        if fresh:
+            yield pd.DataFrame({"t": [key[0]], "old": [old], "fresh": [fresh]})
+
+    buys = events.where("event_type = 'purchase' and ts is not null and user_id is not null").withWatermark("ts", delay)
+    slot = buys.select("user_id", "ts", F.floor(F.unix_timestamp("ts") / seconds).alias("t"))
+    return slot.groupBy("t").applyInPandasWithState(run, "t bigint, old array<bigint>, fresh array<bigint>", "members array<bigint>", "append", GroupStateTimeout.EventTimeTimeout)
+
+
+def pairs(slots: DataFrame) -> DataFrame:
+    """u, v, t of gatherings: each fresh user with the old ones and with the fresh ones after it."""
+    one = slots.select("t", "old", "fresh", F.posexplode("fresh").alias("k", "a"))
+    both = one.select("t", "a", F.explode(F.concat("old", F.slice("fresh", F.col("k") + 2, F.size("fresh")))).alias("b"))
+    return both.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v"), "t")
+
+
 def hourly(events: DataFrame, delay: str = "2 hours", slide: str | None = None) -> DataFrame:
     """start, event_type, n, total by tumbling or sliding hours."""
     span = F.window("ts", "1 hour", slide) if slide else F.window("ts", "1 hour")
