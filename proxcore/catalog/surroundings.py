@@ -123,7 +123,8 @@ def _sequential(view: str, k: int, method: str) -> Q:
     def run(s: SparkSession, d: str) -> DataFrame:
         g = VIEWS[view](s, d).settled()
         one = F.lit(1).cast("bigint").alias("graph")
-        out = udf.proximity_by_graph(g.edges.select(one, "u", "v", "t"), pick(g, k).select(one, "q"), method=method)
+        rows = g.edges.select(one, "u", "v", "t") if g.slots is None else g.slots.select(one, "v", "t")
+        out = udf.proximity_by_graph(rows, pick(g, k).select(one, "q"), method=method)
         return out.where("round(prox * 1e9) > 0").select("q", "v", e9("prox"))
 
     return run

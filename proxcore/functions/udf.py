@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from proxcore import compact, kernels
+from proxcore.slots import Slots
 
 #: Arcs of a linear system that is solved as a dense one.
 MOST_DENSE = 4_000
@@ -49,25 +50,39 @@ def communities_by_graph(edges: DataFrame, queries: DataFrame, alpha: float = 0.
     return edges.groupBy("graph").cogroup(queries.groupBy("graph")).applyInPandas(run, "graph bigint, q bigint, v bigint, beta double")
 
 
+def _meetings(slots: pd.DataFrame) -> pd.DataFrame:
+    """u, v, t of a graph by slots (v, t)."""
+    both = slots.rename(columns={"v": "u"}).merge(slots, on="t")
+    return both[both["u"] < both["v"]]
+
+
 def proximity_by_graph(edges: DataFrame, queries: DataFrame, alpha: float = 0.2, method: str = "stream") -> DataFrame:
     """graph, q, v, prox by the sequential methods: one pass over the edge stream, or the dense linear system (which holds all
     pairs of arcs), for many small graphs at a time: edges (graph, u, v, t), queries (graph, q); a task for each query. The system is
-    triangular, for arcs feed later ones alone, so beyond MOST_DENSE arcs it is solved by substitution in order of time."""
+    triangular, for arcs feed later ones alone, so beyond MOST_DENSE arcs it is solved by substitution in order of time.
+    In place of edges, slots (graph, v, t) whose members all meet: these are sent to the tasks, and beyond MOST_DENSE arcs the
+    substitution goes by them (`slots`), so that no table lists the edges."""
+    by_slots = "u" not in edges.columns
 
     def run(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
         graph, q = int(key[0]), int(key[1])
-        if method == "dense" and 2 * len(pdf) > MOST_DENSE:
-            a = compact.Arrays(*(pdf[c].to_numpy(np.int64) for c in ("u", "v", "t")))
+        if by_slots:
+            pdf = pdf[["v", "t"]].drop_duplicates()
+            n = pdf["t"].value_counts()
+        n_arcs = int((n * (n - 1)).sum()) if by_slots else 2 * len(pdf)
+        if method == "dense" and n_arcs > MOST_DENSE:
+            a = (Slots if by_slots else compact.Arrays)(*(pdf[c].to_numpy(np.int64) for c in (("v", "t") if by_slots else ("u", "v", "t"))))
             if (k := a.at(q)) is None:
                 return pd.DataFrame([], columns=["graph", "q", "v", "prox"])
             x = a.proximity([k], alpha)[:, 0]
             has = np.flatnonzero(x)
             return pd.DataFrame({"graph": graph, "q": q, "v": a.ids[has], "prox": x[has]})
+        pdf = _meetings(pdf) if by_slots else pdf
         walks = kernels.Walks(zip(pdf["u"].tolist(), pdf["v"].tolist(), pdf["t"].tolist(), strict=True))
         scores = walks.stream(q, alpha) if method == "stream" else walks.dense(q, alpha)
         return pd.DataFrame([(graph, q, v, float(x)) for v, x in sorted(scores.items()) if x], columns=["graph", "q", "v", "prox"])
 
-    spread = edges.join(queries.select("graph", "q").distinct(), "graph").select("graph", "q", "u", "v", "t")
+    spread = edges.join(queries.select("graph", "q").distinct(), "graph").select("graph", "q", *(c for c in ("u", "v", "t") if c in edges.columns))
     return spread.groupBy("graph", "q").applyInPandas(run, "graph bigint, q bigint, v bigint, prox double")
 
 

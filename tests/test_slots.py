@@ -4,6 +4,7 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from proxcore import compact, cores, exact, local, metrics
 from proxcore import proximity as P
@@ -141,3 +142,22 @@ def test_neighbours_of_meetings_too_many_for_a_task(spark, monkeypatch):
     monkeypatch.setattr(compact, "MOST_MEMBERS", 0)
     own = members(5)
     assert rows(SlotGraph(spark.createDataFrame(own, "v bigint, t bigint")).static) == sorted({(u, v) for u, t in own for v, s in own if s == t and u != v})
+
+
+def test_dense_solve_of_slots_lists_no_edges(spark, monkeypatch):
+    slots = spark.createDataFrame([(v, t) for v, t in {(v * v % 11, t) for t in range(9) for v in range(t, t + 4)}], "v bigint, t bigint")
+    g, one, q = SlotGraph(slots), F.lit(1).cast("bigint").alias("graph"), spark.createDataFrame([(1, 4), (1, 9)], "graph bigint, q bigint")
+    got = lambda table: {(r["q"], r["v"]): r["prox"] for r in udf.proximity_by_graph(table, q, method="dense").collect()}
+    want = got(g.edges.select(one, "u", "v", "t"))
+    assert want.keys() == got(g.slots.select(one, "v", "t")).keys()
+    monkeypatch.setattr(udf, "MOST_DENSE", 4)
+    by_slots = got(g.slots.select(one, "v", "t"))
+    assert want.keys() == by_slots.keys() and all(abs(want[k] - by_slots[k]) < 1e-12 for k in want)
+
+
+def test_query_of_dense_solve_lists_no_edges(spark, monkeypatch):
+    def listed(_):
+        raise AssertionError("edges are listed")
+
+    monkeypatch.setattr(SlotGraph, "edges", property(listed))
+    assert surroundings.QUERIES["prox_dense_solve"](spark, SF).count() > 0
