@@ -99,6 +99,19 @@ def test_tasks_take_components_of_larger_graphs(spark, monkeypatch):
         assert rows(static.floor_kcore(h, [102], k=2, method="task"), "q", "v", "floor") == want
 
 
+def test_bytes_of_arrays_too_large_to_send(spark, monkeypatch):
+    """One task makes them, or their lengths are counted: the same numbers."""
+    edges = random_edges(5, 12, 40)
+    got = lambda qs: sorted(map(tuple, metrics.array_bytes(graph(spark, edges).settled(), qs).collect()))
+    want, none = got([0, 3, 99]), got([99])
+    assert len(want) == 3 and none == [] and want[1][0] == "graph" and want[1][1] == arrays(edges).nbytes()
+    monkeypatch.setattr(compact, "MOST_EDGES", 3)
+    with pytest.warns(UserWarning, match="distributed"):
+        assert got([0, 3, 99]) == want  # TooLarge before
+        monkeypatch.setattr(compact, "MOST_BYTES", 100)
+        assert got([0, 3, 99]) == want and got([99]) == none
+
+
 def test_an_empty_graph_has_no_communities(spark):
     g = graph(spark, BASIC)
     empty = type(g)(g.edges.where("t > 100"))
